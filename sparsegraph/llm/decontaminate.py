@@ -92,40 +92,46 @@ class Scanner:
 SCAN = "struct<n_words:bigint,hits:array<struct<first:int,words:int>>,bytes:array<struct<start:int,end:int>>,items:array<string>>"
 
 
-def scan(docs: DataFrame, items: DataFrame, *, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES, keep: list[str] | None = None) -> DataFrame:
-    """docs (or its columns `keep`) plus, in a struct column `scan`: n_words; hits, the maximal runs of hit words; bytes, the same runs as byte
-    offsets of the UTF-8 text; items, the sorted ids of the items that occur."""
+def broadcast_blocks(docs: DataFrame, items: DataFrame, item_id: str, item_text: str, window: int, block_bytes: int) -> list:
     context = docs.sparkSession.sparkContext
-    blocks = [context.broadcast(window_table(b, window)) for b in item_blocks(items, item_id, item_text, block_bytes)]
+    return [context.broadcast(window_table(b, window)) for b in item_blocks(items, item_id, item_text, block_bytes)]
+
+
+def find(texts: list[bytes], blocks: list) -> list[dict]:
+    """For each text: n_words, hits, bytes and items of a scan."""
+    words = bw.Words(texts, bw.alnum_class())
+    owners: dict[int, set[str]] = {}
+    mark = np.zeros(len(words.start) + 1, np.int64)
+    for block in blocks:
+        for i, k, keys in Scanner(block.value).hits(words):
+            mark[i] += 1
+            mark[i + k] -= 1
+            owners.setdefault(int(np.searchsorted(words.doc, i, side="right")) - 1, set()).update(keys)
+    hit = np.cumsum(mark[:-1]) > 0
+    out = [{"n_words": c, "hits": [], "bytes": [], "items": []} for c in words.count().tolist()]
+    for k, keys in owners.items():
+        low, high = int(words.doc[k]), int(words.doc[k + 1])
+        step = np.diff(np.concatenate(([0], hit[low:high].astype(np.int8), [0])))
+        for s, e in zip(np.flatnonzero(step == 1).tolist(), np.flatnonzero(step == -1).tolist(), strict=True):
+            out[k]["hits"].append({"first": s, "words": e - s})
+            out[k]["bytes"].append({"start": int(words.start[low + s] - words.offsets[k]), "end": int(words.end[low + e - 1] - words.offsets[k])})
+        out[k]["items"] = sorted(keys)
+    return out
+
+
+def scan(docs: DataFrame, items: DataFrame, *, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", window: int = WINDOW, block_bytes: int = BLOCK_BYTES, keep: list[str] | None = None) -> DataFrame:
+    """docs (or its columns `keep`) plus, in a struct column `scan`: n_words; hits, the maximal runs of hit words; bytes,
+    the same runs as byte offsets of the UTF-8 text; items, the sorted ids of the items that occur."""
+    blocks = broadcast_blocks(docs, items, item_id, item_text, window, block_bytes)
+    kind = pa.struct([("n_words", pa.int64()), ("hits", pa.list_(pa.struct([("first", pa.int32()), ("words", pa.int32())]))), ("bytes", pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))), ("items", pa.list_(pa.string()))])
+    docs = docs.drop("scan")
+    kept = keep or docs.columns
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        words = bw.Words(texts_of(batch.column(text_col)), bw.alnum_class())
-        n = batch.num_rows
-        owners: list[set[str]] = [set() for _ in range(n)]
-        mark = np.zeros(len(words.start) + 1, np.int64)
-        for block in blocks:
-            for i, k, keys in Scanner(block.value).hits(words):
-                mark[i] += 1
-                mark[i + k] -= 1
-                owners[int(np.searchsorted(words.doc, i, side="right")) - 1].update(keys)
-        hit = np.cumsum(mark[:-1]) > 0
-        runs: list[list[dict[str, int]]] = [[] for _ in range(n)]
-        spans: list[list[dict[str, int]]] = [[] for _ in range(n)]
-        for k in range(n):
-            if not owners[k]:
-                continue
-            low, high = int(words.doc[k]), int(words.doc[k + 1])
-            step = np.diff(np.concatenate(([0], hit[low:high].astype(np.int8), [0])))
-            for s, e in zip(np.flatnonzero(step == 1).tolist(), np.flatnonzero(step == -1).tolist(), strict=True):
-                runs[k].append({"first": s, "words": e - s})
-                spans[k].append({"start": int(words.start[low + s] - words.offsets[k]), "end": int(words.end[low + e - 1] - words.offsets[k])})
-        kind = pa.struct([("n_words", pa.int64()), ("hits", pa.list_(pa.struct([("first", pa.int32()), ("words", pa.int32())]))), ("bytes", pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))), ("items", pa.list_(pa.string()))])
-        rows = [{"n_words": c, "hits": r, "bytes": s, "items": sorted(o)} for c, r, s, o in zip(words.count().tolist(), runs, spans, owners, strict=True)]
-        return pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(rows, kind)], names=[*kept, "scan"])
+        found = pa.array(find(texts_of(batch.column(text_col)), blocks), kind)
+        return pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), found], names=[*kept, "scan"])
 
-    clash = docs.drop("scan")
-    kept = keep or clash.columns
-    return map_rows(clash, run, schema_of(clash.select(*kept), f"scan {SCAN}"))
+    return map_rows(docs, run, schema_of(docs.select(*kept), f"scan {SCAN}"))
 
 
 def contamination(docs: DataFrame, items: DataFrame, *, window: int = WINDOW) -> DataFrame:
@@ -144,26 +150,25 @@ def contamination(docs: DataFrame, items: DataFrame, *, window: int = WINDOW) ->
 def remove_spans(docs: DataFrame, items: DataFrame, *, window: int = WINDOW, max_share: float = 0.5) -> DataFrame:
     """Documents without their contaminated parts: hit runs go from the text; a document of which more than max_share of
     the words is hit goes altogether. Columns stay; n_chars follows the text."""
-    scanned = scan(docs, items, window=window)
-
-    def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
-        texts = texts_of(batch.column("text"))
-        out = []
-        for text, null, s in zip(texts, batch.column("text").is_null().to_pylist(), batch.column("scan").to_pylist(), strict=True):
-            if not s["bytes"]:
-                out.append(None if null else text)
+    blocks = broadcast_blocks(docs, items, "item_id", "text", window, BLOCK_BYTES)
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        texts = batch.column("text").cast(pa.binary()).to_pylist()
+        stay, out = [], []
+        for k, found in enumerate(find([t or b"" for t in texts], blocks)):
+            if sum(h["words"] for h in found["hits"]) > max_share * found["n_words"]:
                 continue
-            kept, at = [], 0
-            for x in s["bytes"]:
-                kept.append(text[at : x["start"]])
-                at = x["end"]
-            out.append(b"".join([*kept, text[at:]]))
-        names = batch.schema.names
-        columns = [pa.array(out, pa.binary()).cast(pa.string()) if c == "text" else batch.column(c) for c in names]
-        return pa.RecordBatch.from_arrays(columns, names=names)
-
-    share = F.aggregate("scan.hits", F.lit(0).cast("long"), lambda a, x: a + x["words"]) / F.greatest("scan.n_words", F.lit(1))
-    out = map_rows(scanned.where(share <= max_share), cut, schema_of(scanned)).drop("scan")
+            stay.append(k)
+            text = texts[k]
+            if found["bytes"]:
+                edge = [0, *(x for r in found["bytes"] for x in (r["start"], r["end"])), len(text)]
+                text = b"".join(text[a:b] for a, b in zip(edge[::2], edge[1::2], strict=True))
+            out.append(text)
+        part = batch.take(pa.array(stay, pa.int64()))
+        columns = [pa.array(out, pa.binary()).cast(pa.string()) if c == "text" else part.column(c) for c in part.schema.names]
+        return pa.RecordBatch.from_arrays(columns, names=part.schema.names)
+
+    out = map_rows(docs, run, schema_of(docs))
     if "n_chars" in out.columns:
         out = out.withColumn("n_chars", F.coalesce(F.char_length("text"), F.lit(0)).cast(dict(docs.dtypes)["n_chars"]))
-    return out.select(*docs.columns)
+    return out

@@ -171,6 +171,11 @@ def last_end(origin: np.ndarray, edge: np.ndarray) -> np.ndarray:
     return after[edge - 1]
 
 
+def lists(arrays: list[np.ndarray]) -> pa.ListArray:
+    edge = np.concatenate(([0], np.cumsum([len(a) for a in arrays]))).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(edge), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int32)))
+
+
 def load(path: str) -> bytes:
     with open(path, "rb") as f:
         return f.read()
@@ -195,10 +200,10 @@ def encode(docs: DataFrame, model_path: str, *, text_col: str = "text", offsets:
         model = held["model"]
         texts = [t or "" for t in batch.column(text_col).to_pylist()]
         ids = model.encode(texts)
-        columns = [pa.array([np.asarray(i, np.int32) for i in ids], pa.list_(pa.int32()))]
+        columns = [lists([np.asarray(i, np.int32) for i in ids])]
         if offsets:
             spans = [model.spans(t, i) for t, i in zip(texts, ids, strict=True)]
-            columns += [pa.array([s[k].astype(np.int32) for s in spans], pa.list_(pa.int32())) for k in (0, 1)]
+            columns += [lists([s[k].astype(np.int32) for s in spans]) for k in (0, 1)]
         return pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), *columns], names=[*kept, *(m.split()[0] for m in more)])
 
     return map_rows(docs, run, schema_of(docs.select(*kept), *more))
