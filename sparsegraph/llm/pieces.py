@@ -75,11 +75,12 @@ class Normaliser:
         n = utf8_length(text[at])
         return n, text[at : at + n]
 
-    def align(self, text: bytes) -> tuple[bytes, np.ndarray]:
-        """The normalised bytes, and for each of them and for their end the original offset where it begins."""
+    def align(self, text: bytes) -> tuple[bytes, np.ndarray, np.ndarray]:
+        """The normalised bytes, and for each of them where the original bytes that it stands for begin and end. The added
+        prefix stands for none."""
         if not self.map.units and not self.collapse:
             return self._plain(text)
-        out, start = bytearray(), []
+        out, start, end = bytearray(), [], []
         at = 0
         if self.collapse:
             while at < len(text):
@@ -88,39 +89,38 @@ class Normaliser:
                     break
                 at += n
         if at == len(text):
-            return b"", np.array([at])
+            return b"", np.zeros(0, np.int64), np.zeros(0, np.int64)
 
-        def put(piece: bytes, origin: int) -> None:
+        def put(piece: bytes, a: int, b: int) -> None:
             out.extend(piece)
-            start.extend([origin] * len(piece))
+            start.extend([a] * len(piece))
+            end.extend([b] * len(piece))
 
         if self.add_prefix:
-            put(self.space, at)
-        before_space = self.collapse
+            put(self.space, at, at)
+        after_space = self.collapse
         while at < len(text):
             n, new = self.step(text, at)
-            while before_space and new.startswith(b" "):
+            while after_space and new.startswith(b" "):
                 new = new[1:]
             for b in (new[i : i + 1] for i in range(len(new))):
-                put(self.space if b == b" " else b, at)
+                put(self.space if b == b" " else b, at, at + n)
             if new:
-                before_space = self.collapse and new.endswith(b" ")
+                after_space = self.collapse and new.endswith(b" ")
             at += n
-        if self.collapse:
-            while out.endswith(self.space):
-                del out[-len(self.space) :]
-                at = start[-len(self.space)]
-                del start[-len(self.space) :]
-        return bytes(out), np.array([*start, at])
+        while self.collapse and out.endswith(self.space):
+            for held in (out, start, end):
+                del held[-len(self.space) :]
+        return bytes(out), np.array(start, np.int64), np.array(end, np.int64)
 
-    def _plain(self, text: bytes) -> tuple[bytes, np.ndarray]:
+    def _plain(self, text: bytes) -> tuple[bytes, np.ndarray, np.ndarray]:
         """No character map, no collapsing: only spaces grow and a prefix may come first."""
         if not text:
-            return b"", np.zeros(1, np.int64)
+            return b"", np.zeros(0, np.int64), np.zeros(0, np.int64)
         width = np.where(np.frombuffer(text, np.uint8) == 0x20, len(self.space), 1)
         start = np.repeat(np.arange(len(text)), width)
-        head = len(self.space) if self.add_prefix else 0
-        return (self.space if head else b"") + text.replace(b" ", self.space), np.concatenate((np.zeros(head, np.int64), start, [len(text)]))
+        prefix = np.zeros(len(self.space) if self.add_prefix else 0, np.int64)
+        return (self.space if self.add_prefix else b"") + text.replace(b" ", self.space), np.concatenate((prefix, start)), np.concatenate((prefix, start + 1))
 
 
 class PieceModel:
@@ -145,32 +145,20 @@ class PieceModel:
         """Start and end of each id in the original bytes; begin and end ids are empty. A piece of an unknown character
         takes what the known ones leave it."""
         raw = text.encode()
-        normal, origin = self.normaliser.align(raw)
+        normal, first, last = self.normaliser.align(raw)
         inner = ids[1:-1]
         if self.unknown.isdisjoint(inner):
             width = [self.length[i] for i in inner]
         else:  # the library's own surface tells how much an unknown piece covers
-            pieces = self.library.encode(text, out_type="immutable_proto").pieces
+            pieces = self.library.encode(text, return_type="proto").pieces
             width = [len(p.piece.encode()) if p.id in self.unknown else self.length[p.id] for p in pieces]
         edge = np.concatenate(([0], np.cumsum(np.array(width, np.int64))))
         if edge[-1] != len(normal):
             raise ValueError("pieces do not add up to the normalised text")
-        start = origin[edge[:-1]]
-        end = np.maximum(start, last_end(origin, edge[1:])) if inner else start
+        start, end = (first[edge[:-1]], last[edge[1:] - 1]) if inner else (first[:0], last[:0])
         return np.concatenate(([0], start, [len(raw)])), np.concatenate(([0], end, [len(raw)]))
 
 
-def last_end(origin: np.ndarray, edge: np.ndarray) -> np.ndarray:
-    """The original offset where what stands before each normalised offset ends."""
-    after = np.empty(len(origin), np.int64)  # for each normalised byte, the next larger original offset
-    after[-1] = origin[-1]
-    change = np.flatnonzero(np.diff(origin))
-    following = np.searchsorted(change, np.arange(len(origin) - 1))
-    bounds = np.concatenate((origin[change + 1], origin[-1:]))
-    after[:-1] = bounds[following]
-    return after[edge - 1]
-
-
 def lists(arrays: list[np.ndarray]) -> pa.ListArray:
     edge = np.concatenate(([0], np.cumsum([len(a) for a in arrays]))).astype(np.int32)
     return pa.ListArray.from_arrays(pa.array(edge), pa.array(np.concatenate(arrays) if arrays else np.zeros(0, np.int32)))
