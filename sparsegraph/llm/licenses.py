@@ -79,20 +79,21 @@ class Scanner:
             if saving < min_saving:
                 break
             name, want, _ = self.templates[-k]
-            missing, added, changes = differences(want, own)
-            if missing + added <= max_difference * len(want):
-                found.append(((missing + added, -saving, -len(want), name), {"license": name, "saving": saving, "missing": missing, "added": added, "differences": changes}))
+            missing, added, edits, changes = differences(want, own)
+            if edits <= max_difference * len(want):
+                found.append(((edits, -saving, -len(want), name), {"license": name, "saving": saving, "missing": missing, "added": added, "differences": changes}))
         return min(found, key=lambda x: x[0])[1] if found else None
 
 
-def differences(want: list[bytes], own: list[bytes]) -> tuple[int, int, list[str]]:
-    """Words of the template that the block lacks, words of the block within the matched stretch that are not the
-    template's, and both as text. Words before and after the stretch do not count."""
+def differences(want: list[bytes], own: list[bytes]) -> tuple[int, int, int, list[str]]:
+    """Words of the template that the block lacks; words of the block within the matched stretch that are not the
+    template's; edits, where a word in place of another is one; and both kinds of words as text. Words before and after
+    the stretch do not count."""
     ops = [o for o in SequenceMatcher(None, want, own, autojunk=False).get_opcodes()]
     equal = [i for i, o in enumerate(ops) if o[0] == "equal"]
     if not equal:
-        return len(want), 0, []
-    missing = added = 0
+        return len(want), 0, len(want), []
+    missing = added = edits = 0
     changes = []
     for i, (kind, a, b, c, d) in enumerate(ops):
         if kind == "equal":
@@ -100,8 +101,9 @@ def differences(want: list[bytes], own: list[bytes]) -> tuple[int, int, list[str
         inner = equal[0] < i < equal[-1]
         missing += b - a
         added += (d - c) if inner else 0
+        edits += max(b - a, d - c) if inner else b - a
         changes += [f"-{w.decode()}" for w in want[a:b]] + ([f"+{w.decode('utf-8', 'replace')}" for w in own[c:d]] if inner else [])
-    return missing, added, changes
+    return missing, added, edits, changes
 
 
 def blocks(text: bytes) -> list[tuple[int, bytes]]:

@@ -61,15 +61,16 @@ def drop_runs(docs: DataFrame, *, min_chars: int = 20, min_docs: int = 3) -> Dat
 def keep_bitmaps(docs: DataFrame, *, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
     """(doc_id, n_lines, n_dropped, bitmap) for each row of docs; the bitmap is a text of run lengths, kept and dropped by
     turns, that ends with the last dropped run ("" keeps all)."""
-    with_runs = joined(docs, drop_runs(docs, min_chars=min_chars, min_docs=min_docs))
-    return with_runs.select("doc_id", F.size(split_lines(F.col("text"))).cast("long").alias("n_lines"), n_dropped(), bitmap().alias("bitmap"))
+    with_runs = joined(docs.select("doc_id", "text"), drop_runs(docs, min_chars=min_chars, min_docs=min_docs))
+    return with_runs.select("doc.doc_id", F.size(split_lines(F.col("doc.text"))).cast("long").alias("n_lines"), n_dropped(), bitmap().alias("bitmap"))
 
 
 def joined(docs: DataFrame, runs: DataFrame) -> DataFrame:
-    """docs plus `dropped`, a struct of runs and n_dropped (null where all lines stay)."""
-    runs = runs.select(F.col("id").alias("_id"), F.col("row").alias("_row"), F.struct("runs", "n_dropped").alias("dropped"))
-    docs = docs.drop("dropped")
-    return docs.join(runs, (F.coalesce(docs["doc_id"].cast("long"), F.lit(LOWEST)) == F.col("_id")) & (F.xxhash64(docs["text"]) == F.col("_row")), "left").drop("_id", "_row")
+    """(doc, dropped): each row of docs as a struct, so that no name clashes, with a struct of its runs and n_dropped, null
+    where all lines stay."""
+    runs = runs.select("id", "row", F.struct("runs", "n_dropped").alias("dropped"))
+    rows = docs.select(doc_key(), F.xxhash64("text").alias("row"), F.struct(*docs.columns).alias("doc"))
+    return rows.join(runs, ["id", "row"], "left").select("doc", "dropped")
 
 
 def n_dropped():
@@ -84,14 +85,13 @@ def bitmap():
 
 def kept_text():
     """The lines that stay, joined by line feeds; the text itself where none goes (null: empty)."""
-    lines, runs = split_lines(F.col("text")), F.col("dropped.runs")
-    kept = F.filter(lines, lambda x, i: ~F.exists(runs, lambda r: (i >= r["start"]) & (i < r["start"] + r["length"])))
-    return F.when(F.col("dropped").isNull(), F.coalesce(F.col("text"), F.lit(""))).otherwise(F.array_join(kept, "\n"))
+    text, runs = F.col("doc.text"), F.col("dropped.runs")
+    kept = F.filter(split_lines(text), lambda x, i: ~F.exists(runs, lambda r: (i >= r["start"]) & (i < r["start"] + r["length"])))
+    return F.when(F.col("dropped").isNull(), F.coalesce(text, F.lit(""))).otherwise(F.array_join(kept, "\n"))
 
 
 def dedup_lines(docs: DataFrame, *, min_chars: int = 20, min_docs: int = 3) -> DataFrame:
     """docs with the kept lines as text (null stays null); n_chars follows the text."""
-    out = joined(docs, drop_runs(docs, min_chars=min_chars, min_docs=min_docs)).withColumn("text", F.when(F.col("text").isNotNull(), kept_text()))
-    if "n_chars" in out.columns:
-        out = out.withColumn("n_chars", F.coalesce(F.char_length("text"), F.lit(0)).cast(dict(docs.dtypes)["n_chars"]))
-    return out.select(*docs.columns)
+    out = joined(docs, drop_runs(docs, min_chars=min_chars, min_docs=min_docs)).select("doc", F.when(F.col("doc.text").isNotNull(), kept_text()).alias("kept"))
+    new = {"text": F.col("kept"), "n_chars": F.coalesce(F.char_length("kept"), F.lit(0)).cast(dict(docs.dtypes).get("n_chars", "long"))}
+    return out.select(*[new.get(c, F.col(f"doc.`{c}`")).alias(c) for c in docs.columns])

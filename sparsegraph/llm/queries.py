@@ -57,7 +57,7 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     found = linededup.joined(docs, linededup.drop_runs(docs, min_chars=20, min_docs=3))
-    return found.select("doc_id", F.size(linededup.split_lines(F.col("text"))).cast("long").alias("n_lines"), linededup.n_dropped(), F.sha2(linededup.kept_text(), 256).alias("kept_sha256"))
+    return found.select("doc.doc_id", F.size(linededup.split_lines(F.col("doc.text"))).cast("long").alias("n_lines"), linededup.n_dropped(), F.sha2(linededup.kept_text(), 256).alias("kept_sha256"))
 
 
 def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
