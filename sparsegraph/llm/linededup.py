@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import ascii_lower
+from .common import ascii_lower, materialise
 
 SPACE = " \t\n\x0b\x0c\r"
 LOWEST = -(1 << 63)
@@ -51,7 +51,9 @@ def drop_runs(docs: DataFrame, *, min_chars: int = 20, min_docs: int = 3) -> Dat
     """(id, row, runs, n_dropped): for each document that loses lines, the runs of dropped lines as (start, length), in
     order: a run-length code of its keep bitmap. id and row (a hash of the text) name the document."""
     lines = hashed(docs.select(doc_key(), F.xxhash64("text").alias("row"), F.posexplode(line_keys(F.col("text"), min_chars)).alias("pos", "key")), min_chars)
-    frequent = frequent_keys(docs, min_chars=min_chars, min_docs=min_docs)
+    # Written first: a table of its own on this side lets the join be a broadcast where it is small, and split where a line
+    # is hot.
+    frequent = materialise(frequent_keys(docs, min_chars=min_chars, min_docs=min_docs), "frequent")
     dropped = lines.join(frequent, ["h1", "h2"]).where("id <> last").select("id", "row", "pos").distinct()
     run = dropped.withColumn("grp", F.col("pos") - F.row_number().over(W.partitionBy("id", "row").orderBy("pos")))
     runs = run.groupBy("id", "row", "grp").agg(F.min("pos").alias("start"), F.count("*").cast("int").alias("length"))
