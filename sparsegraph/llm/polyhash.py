@@ -34,7 +34,7 @@ STEPS = 32
 PIECE = 1 << 17
 LOWEST = -(1 << 63)
 #: UTF-8 bytes of text that one range of ids should hold.
-RANGE_BYTES = 16 << 20
+RANGE_BYTES = 2 << 20
 _TABLES: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
