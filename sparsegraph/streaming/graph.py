@@ -49,16 +49,17 @@ def deduplicated(stream: DataFrame, watermark: str = "1 day") -> DataFrame:
 SUCCESSION = "user_id bigint, src string, dst string, gap_us bigint"
 
 
-def type_successions(stream: DataFrame, *, timeout_ms: int = 86_400_000) -> DataFrame:
+def type_successions(stream: DataFrame, *, idle_ms: int | None = None, watermark: str = "1 day") -> DataFrame:
     """(user_id, src, dst, gap_us): for each user, the type of every event and of the next one. State holds the last event
-    of a user; a user without events for timeout_ms (processing time) is forgotten. Events of a user must not come later
-    than their successors: those that do start anew from the last seen."""
+    of a user. With idle_ms a user is forgotten once the watermark is that far past the user's last event; events behind
+    the watermark are then dropped. An event that comes after its successor starts anew from the last seen."""
     import pandas as pd
     from pyspark.sql.streaming.state import GroupStateTimeout
 
     def step(key: tuple, parts: Iterator, state) -> Iterator:
         if state.hasTimedOut:
             state.remove()
+            yield pd.DataFrame([], columns=["user_id", "src", "dst", "gap_us"])
             return
         pdf = pd.concat(list(parts)).sort_values(["us", "event_id"])
         last = state.get if state.exists else None
@@ -68,11 +69,15 @@ def type_successions(stream: DataFrame, *, timeout_ms: int = 86_400_000) -> Data
                 out.append((key[0], last[1], kind, us - last[0]))
             last = (us, kind)
         state.update(last)
-        state.setTimeoutDuration(timeout_ms)
+        if idle_ms is not None:
+            state.setTimeoutTimestamp(max(last[0] // 1000, state.getCurrentWatermarkMs()) + idle_ms)
         yield pd.DataFrame(out, columns=["user_id", "src", "dst", "gap_us"])
 
-    rows = stream.select("user_id", "event_id", "event_type", F.unix_micros("ts").alias("us"))
-    return rows.groupBy("user_id").applyInPandasWithState(step, SUCCESSION, "us bigint, kind string", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    timeout = GroupStateTimeout.NoTimeout
+    if idle_ms is not None:
+        stream, timeout = stream.withWatermark("ts", watermark), GroupStateTimeout.EventTimeTimeout
+    rows = stream.select("user_id", "event_id", "event_type", "ts", F.unix_micros("ts").alias("us"))
+    return rows.groupBy("user_id").applyInPandasWithState(step, SUCCESSION, "us bigint, kind string", "append", timeout)
 
 
 def with_static(stream: DataFrame, cues: DataFrame) -> DataFrame:
