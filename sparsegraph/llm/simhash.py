@@ -22,6 +22,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import Window as W
 
 from sparsegraph.operators.components import components
 
@@ -131,7 +132,8 @@ def hex_print(fp: Column) -> Column:
 # --- Similarity of 0.8 and less close copies -------------------------------------------------------------------------
 # Texts that share 0.8 of their five-word shingles differ in 8 to 14 of 64 bits, where pigeonhole blocks would be 4 bits
 # wide and hold everything. So candidates beyond 2 bits come from bands of least shingle hashes, and every candidate,
-# from blocks or bands, is verified by the exact Jaccard index of its shingle sets.
+# from blocks or bands, is verified by the exact Jaccard index of its shingle sets. A band bucket of more than BUCKET texts
+# is compared with its least text first; buckets that are then still in several parts go through an exact prefix join.
 BANDS, ROWS = 16, 4
 SIMILARITY = 0.8
 SHINGLE = 5
@@ -189,18 +191,53 @@ def shingle_sets(docs: DataFrame) -> DataFrame:
     return map_rows(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), run, "id long, shingles binary")
 
 
-def candidates(prints: DataFrame) -> DataFrame:
-    """(src, dst) of texts (rep, fp, keys) that share a band or are at most 2 bits apart. A bucket of more than BUCKET texts
-    ties each of them to its least one, and to the next in the order of another band."""
+def candidates(prints: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(src, dst) of texts (rep, fp, keys) that share a band or are at most 2 bits apart, and (t, key, rep) of the buckets of
+    more than BUCKET texts. Of those buckets, each text is only paired with the least one: see `prefix_pairs` for the rest."""
     by_fp = prints.groupBy("fp").agg(F.min("rep").alias("rep"))
     same = prints.select("fp", F.col("rep").alias("dst")).join(by_fp.withColumnRenamed("rep", "src"), "fp").where("src < dst").select("src", "dst")
-    rows = prints.select("rep", F.posexplode("keys").alias("t", "key"), F.get("keys", F.pmod(F.col("fp"), F.lit(BANDS)).cast("int")).alias("order"))
+    rows = prints.select("rep", F.posexplode("keys").alias("t", "key"))
     sizes = rows.groupBy("t", "key").agg(F.count("*").alias("n"), F.min("rep").alias("least")).where("n > 1")
     held = materialise(rows.join(sizes, ["t", "key"]), "bands")
-    small = held.where(F.col("n") <= BUCKET)
+    small, large = held.where(F.col("n") <= BUCKET), held.where(F.col("n") > BUCKET)
     pairs = small.select("t", "key", F.col("rep").alias("src")).join(small.select("t", "key", F.col("rep").alias("dst")), ["t", "key"]).where("src < dst").select("src", "dst")
-    stars = held.where((F.col("n") > BUCKET) & (F.col("rep") > F.col("least"))).select(F.col("least").alias("src"), F.col("rep").alias("dst"))
-    return pairs.union(stars).union(same).union(links(by_fp, 2).select(F.least("src", "dst"), F.greatest("src", "dst"))).distinct()
+    stars = large.where(F.col("rep") > F.col("least")).select(F.col("least").alias("src"), F.col("rep").alias("dst"))
+    near = pairs.union(stars).union(same).union(links(by_fp, 2).select(F.least("src", "dst"), F.greatest("src", "dst"))).distinct()
+    return near, large.select("t", "key", "rep")
+
+
+def undecided(large: DataFrame, found: DataFrame) -> DataFrame:
+    """(rep, component) of the texts in large buckets that the components `found` leave in more than one part."""
+    named = large.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    parts = named.groupBy("t", "key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a <> b").select("t", "key")
+    return named.join(parts, ["t", "key"], "left_semi").select("rep", "component").distinct()
+
+
+def prefix_pairs(docs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
+    """(src, dst): candidates that hold every pair of `texts` (rep, component) of different components whose Jaccard index
+    is at least `similarity`.
+
+    With shingles in order of rarity, two sets of that similarity share one among the first n - ceil(similarity * n) + 1
+    of each. Of the texts that share such a shingle, those of its most frequent component are not paired with each other,
+    as they are linked already; so a group of copies costs its size times the number of strangers in it, not its square."""
+    sets = shingle_sets(docs.select("doc_id", "text").join(texts.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"]))
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        each = [np.frombuffer(x.as_buffer(), np.int64) for x in batch.column("shingles")]
+        n = np.array([len(x) for x in each])
+        return pa.RecordBatch.from_arrays([batch.column("id").take(pa.array(np.repeat(np.arange(len(n)), n))), pa.array(np.repeat(n, n)), pa.array(np.concatenate(each))], names=["rep", "n", "shingle"])
+
+    rows = materialise(map_rows(sets, run, "rep long, n long, shingle long"), "shingles")
+    held = rows.groupBy("shingle").agg(F.count("*").alias("texts"))
+    rank = F.row_number().over(W.partitionBy("rep").orderBy("texts", "shingle"))
+    first = rows.join(held, "shingle").withColumn("rank", rank).where((F.col("rank") <= F.col("n") - F.ceil(F.col("n") * similarity - 1e-9) + 1) & (F.col("texts") > 1))
+    first = materialise(first.select("rep", "n", "shingle").join(texts, "rep"), "prefixes")
+    sizes = first.groupBy("shingle", "component").agg(F.count("*").alias("k"))
+    main = sizes.groupBy("shingle").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts")).where("parts > 1").select("shingle", "main")
+    split = materialise(first.join(main, "shingle"), "split")
+    strangers = split.where("component <> main").select("shingle", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("component").alias("cx"))
+    both = strangers.join(split, "shingle").where((F.col("cx") != F.col("component")) & (F.least("n", "nx") >= F.greatest("n", "nx") * similarity - 1e-9))
+    return both.select(F.least("x", "rep").alias("src"), F.greatest("x", "rep").alias("dst")).distinct()
 
 
 def similar(docs: DataFrame, pairs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
@@ -227,7 +264,12 @@ def similar_groups(docs: DataFrame, *, similarity: float = SIMILARITY) -> DataFr
     from the start."""
     marked = materialise(marks(docs), "marks")
     prints = materialise(marked.groupBy("whole", "fp").agg(F.min("id").alias("rep"), F.min_by("keys", "id").alias("keys")), "texts")
-    found = components(similar(docs, candidates(prints), similarity))
+    near, large = candidates(prints)
+    pairs = materialise(similar(docs, near, similarity), "links")
+    found = materialise(components(pairs), "found")
+    rest = materialise(undecided(large, found), "undecided")
+    if not rest.isEmpty():
+        found = components(pairs.union(similar(docs, prefix_pairs(docs, rest, similarity), similarity)))
     named = prints.join(found.withColumnRenamed("id", "rep"), "rep", "left").select("whole", "fp", F.coalesce("component", "rep").alias("component_id"))
     return marked.join(named, ["whole", "fp"]).groupBy("id").agg(F.min("component_id").alias("component_id")).withColumnRenamed("id", "doc_id")
 
