@@ -231,12 +231,15 @@ def prefix_pairs(docs: DataFrame, texts: DataFrame, similarity: float) -> DataFr
     held = rows.groupBy("shingle").agg(F.count("*").alias("texts"))
     rank = F.row_number().over(W.partitionBy("rep").orderBy("texts", "shingle"))
     first = rows.join(held, "shingle").withColumn("rank", rank).where((F.col("rank") <= F.col("n") - F.ceil(F.col("n") * similarity - 1e-9) + 1) & (F.col("texts") > 1))
-    first = materialise(first.select("rep", "n", "shingle").join(texts, "rep"), "prefixes")
+    first = materialise(first.select("rep", "n", "rank", "shingle").join(texts, "rep"), "prefixes")
     sizes = first.groupBy("shingle", "component").agg(F.count("*").alias("k"))
     main = sizes.groupBy("shingle").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts")).where("parts > 1").select("shingle", "main")
     split = materialise(first.join(main, "shingle"), "split")
-    strangers = split.where("component <> main").select("shingle", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("component").alias("cx"))
-    both = strangers.join(split, "shingle").where((F.col("cx") != F.col("component")) & (F.least("n", "nx") >= F.greatest("n", "nx") * similarity - 1e-9))
+    strangers = split.where("component <> main").select("shingle", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("rank").alias("rx"), F.col("component").alias("cx"))
+    # A pair shares at most the shingles from its first common one on; that row passes if the pair is similar.
+    shared = F.least(F.col("nx") - F.col("rx"), F.col("n") - F.col("rank")) + 1
+    enough = shared >= (F.col("nx") + F.col("n")) * (similarity / (1 + similarity)) - 1e-9
+    both = strangers.join(split, "shingle").where((F.col("cx") != F.col("component")) & enough)
     return both.select(F.least("x", "rep").alias("src"), F.greatest("x", "rep").alias("dst")).distinct()
 
 
