@@ -1,18 +1,23 @@
 """License scans by conditional compression.
 
-A block (a paragraph, or a line of one) is a candidate if it holds a hint word of license language. Each candidate is
-compressed alone and with every template as zstandard raw dictionary; the share of bytes that a template saves ranks the
-templates. The best ones are confirmed by exact wording: the words of block and template are aligned, and the template is
-found if its words occur in the block in order, within the allowed number of differences; the differences are reported.
+Every hint word of license language opens a window of about two template lengths on either side of it, whatever lines,
+paragraphs or comment marks it runs over. Window and template are compared as lower-cased words. In a window that holds
+enough of a template's words, the stretch that is the fewest word edits away from the template is aligned with it, and must
+be within the allowed number of edits. The stretch, without the text around it, which would drown its saving, is compressed
+alone and with the template as zstandard raw dictionary; the share of its bytes that the template saves must reach a least
+value and ranks the templates. Reported are the byte offsets of the stretch, the saving and the exact differences.
 
-Null and empty texts have no blocks. Ties between templates go to fewer differences, then to the larger saving, then to
-the longer template, then to the name. Repeated rows are scanned each for itself. Very long texts are scanned whole; a
-block longer than BLOCK_BYTES is cut at line ends. Other columns stay as they are."""
+Null and empty texts have no windows. Ties between templates go to more words explained (equal ones less edits), then to the
+larger saving, then to the longer template, then to the name. Repeated rows are scanned each for itself. Very long texts are
+scanned whole. Other columns stay as they are."""
 
 from __future__ import annotations
 
 import re
-from difflib import SequenceMatcher
+from array import array
+from bisect import bisect_right
+from collections import Counter
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -20,7 +25,6 @@ from pyspark.sql import functions as F
 
 from .common import map_rows, schema_of
 
-BLOCK_BYTES = 64 << 10
 LEVEL = 3
 
 # Public license notices and grants, by SPDX identifier.
@@ -58,100 +62,159 @@ class Scanner:
     def __init__(self, templates: dict[str, list[str]]):
         import zstandard
 
-        self.plain = zstandard.ZstdCompressor(level=LEVEL, write_content_size=False, write_checksum=False, write_dict_id=False)
+        plain = zstandard.ZstdCompressor(level=LEVEL, write_content_size=False, write_checksum=False, write_dict_id=False)
+        frame = len(plain.compress(b""))
+        self.alone = lambda text: len(plain.compress(text)) - frame
         self.templates = []
         for name in sorted(templates):
             for text in templates[name]:
-                raw = text.encode()
+                want = words(text.encode())
+                if not want:
+                    continue
+                raw = b" ".join(want)
                 # A raw dictionary must have 8 bytes at least.
                 pack = zstandard.ZstdCompressionDict(raw.ljust(8), dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-                self.templates.append((name, words(raw), zstandard.ZstdCompressor(level=LEVEL, dict_data=pack, write_content_size=False, write_checksum=False, write_dict_id=False)))
-
-    def ranked(self, block: bytes) -> list[tuple[float, int]]:
-        """(share of the block's compressed bytes that the template saves, template), best first."""
-        alone = len(self.plain.compress(block))
-        return sorted(((1 - len(c.compress(block)) / alone, -k) for k, (_, _, c) in enumerate(self.templates)), reverse=True)
-
-    def best(self, block: bytes, min_saving: float, max_difference: float) -> dict | None:
-        own = words(block)
-        found = []
-        for saving, k in self.ranked(block):
-            if saving < min_saving:
-                break
-            name, want, _ = self.templates[-k]
-            missing, added, edits, changes = differences(want, own)
-            if edits <= max_difference * len(want):
-                found.append(((edits, -saving, -len(want), name), {"license": name, "saving": saving, "missing": missing, "added": added, "differences": changes}))
-        return min(found, key=lambda x: x[0])[1] if found else None
-
-
-def differences(want: list[bytes], own: list[bytes]) -> tuple[int, int, int, list[str]]:
-    """Words of the template that the block lacks; words of the block within the matched stretch that are not the
-    template's; edits, where a word in place of another is one; and both kinds of words as text. Words before and after
-    the stretch do not count."""
-    ops = [o for o in SequenceMatcher(None, want, own, autojunk=False).get_opcodes()]
-    equal = [i for i, o in enumerate(ops) if o[0] == "equal"]
-    if not equal:
-        return len(want), 0, len(want), []
-    missing = added = edits = 0
-    changes = []
-    for i, (kind, a, b, c, d) in enumerate(ops):
-        if kind == "equal":
+                given = zstandard.ZstdCompressor(level=LEVEL, dict_data=pack, write_content_size=False, write_checksum=False, write_dict_id=False)
+                self.templates.append((name, want, Counter(want), lambda text, c=given: len(c.compress(text)) - frame))
+
+    def matches(self, k: int, own: list[bytes], min_saving: float, max_difference: float) -> list[dict]:
+        """Disjoint stretches of the words `own` that hold template k, each with the positions of its equal words."""
+        name, want, counts, given = self.templates[k]
+        most = int(max_difference * len(want))
+        held = Counter(own)
+        if sum(min(n, held[w]) for w, n in counts.items()) < len(want) - most:
+            return []
+        out, open_ = [], [(0, len(own))]
+        while open_:
+            lo, hi = open_.pop()
+            found = differences(want, own[lo:hi])
+            if not found or found["edits"] > most:
+                continue
+            at = [lo + i for i in found.pop("at")]
+            part = b" ".join(own[at[0] : at[-1] + 1])
+            saving = 1 - given(part) / self.alone(part)
+            if saving >= min_saving:
+                out.append({"license": name, "template": k, "saving": saving, "at": at, **found})
+            open_ += [(lo, at[0]), (at[-1] + 1, hi)]
+        return out
+
+
+def differences(want: list[bytes], own: list[bytes]) -> dict | None:
+    """The stretch of `own` with the fewest word edits from `want` (the first of several): positions of its equal words;
+    words of the template that it lacks; words between its first and last equal word that are not the template's; edits,
+    where a word in place of another is one; and both kinds of words as text."""
+    rows = [[0] * (len(own) + 1)]
+    for i, w in enumerate(want, 1):
+        up, row = rows[-1], [i]
+        left = i
+        for j, o in enumerate(own):
+            left = min(up[j] + (w != o), up[j + 1] + 1, left + 1)
+            row.append(left)
+        rows.append(row)
+    i, j = len(want), rows[-1].index(min(rows[-1]))
+    edits = rows[i][j]
+    steps: list[tuple[int | None, int | None]] = []
+    while i:
+        if j and rows[i][j] == rows[i - 1][j - 1] + (want[i - 1] != own[j - 1]):
+            i, j = i - 1, j - 1
+            steps.append((i, j))
+        elif rows[i][j] == rows[i - 1][j] + 1:
+            i -= 1
+            steps.append((i, None))
+        else:
+            j -= 1
+            steps.append((None, j))
+    steps.reverse()
+    at = [b for a, b in steps if a is not None and b is not None and want[a] == own[b]]
+    if not at:
+        return None
+    changes: list[str] = []
+    added = 0
+    less: list[str] = []
+    more: list[str] = []
+    for a, b in [*steps, (None, None)]:
+        if (a is None and b is None) or (b is not None and a is not None and want[a] == own[b]):
+            changes += less + more
+            less, more = [], []
             continue
-        inner = equal[0] < i < equal[-1]
-        missing += b - a
-        added += (d - c) if inner else 0
-        edits += max(b - a, d - c) if inner else b - a
-        changes += [f"-{w.decode()}" for w in want[a:b]] + ([f"+{w.decode('utf-8', 'replace')}" for w in own[c:d]] if inner else [])
-    return missing, added, edits, changes
-
-
-def blocks(text: bytes) -> list[tuple[int, bytes]]:
-    """(offset, bytes) of every line, and of every paragraph of more than one line, that is not blank."""
-    out = []
-    for m in re.finditer(rb"(?:[^\n]+\n?)+", text):
-        para = m.group()
-        if para.count(b"\n") > 1 and len(para) <= BLOCK_BYTES:
-            out.append((m.start(), para))
-        at = m.start()
-        for line in para.split(b"\n"):
-            for a in range(0, len(line), BLOCK_BYTES):
-                out.append((at + a, line[a : a + BLOCK_BYTES]))
-            at += len(line) + 1
-    return out
-
-
+        if a is not None:
+            less.append(f"-{want[a].decode()}")
+        if b is not None and at[0] < b < at[-1]:
+            more.append(f"+{own[b].decode()}")
+            added += 1
+    return {"at": at, "missing": len(want) - len(at), "added": added, "edits": edits, "differences": changes}
+
+
+def windows(hits: list[int], reach: int, n: int) -> Iterator[tuple[int, int]]:
+    """(from, to) in words: each of the sorted words `hits` has `reach` words on either side in one window at least, and no
+    window is longer than three times that."""
+    at = 0
+    while at < len(hits):
+        to = bisect_right(hits, hits[at] + reach) - 1
+        yield max(0, hits[at] - reach), min(n, hits[to] + reach + 1)
+        at = to + 1
+
+
+def hints_in(hints: tuple[str, ...]) -> re.Pattern[bytes]:
+    """Any hint; its words may be apart by anything but words, such as a line end and a comment mark."""
+    return re.compile(rb"|".join(rb"\W+".join(re.escape(w.encode()) for w in h.split()) for h in hints), re.I)
+
+
+def notices(text: bytes, scanner: Scanner, hint: re.Pattern[bytes], min_saving: float, max_difference: float, seen: dict) -> list[dict]:
+    """Confirmed notices of one text in order of their start."""
+    hits = [m.start() for m in hint.finditer(text)]
+    if not hits:
+        return []
+    low = text.lower()
+    starts, ends = array("i"), array("i")
+    for m in WORD.finditer(low):
+        starts.append(m.start())
+        ends.append(m.end())
+    hits = sorted({max(0, bisect_right(starts, h) - 1) for h in hits})
+    found = []
+    for k, (_, want, *_) in enumerate(scanner.templates):
+        for lo, hi in windows(hits, 2 * (len(want) + int(max_difference * len(want))), len(starts)):
+            if lo == hi:
+                continue
+            part = low[starts[lo] : ends[hi - 1]]
+            if (k, part) not in seen:
+                seen[k, part] = scanner.matches(k, words(part), min_saving, max_difference)
+            found += [{**f, "at": [lo + i for i in f["at"]], "start": starts[lo + f["at"][0]], "end": ends[lo + f["at"][-1]]} for f in seen[k, part]]
+    found.sort(key=lambda f: (f["edits"] - len(f["at"]), -f["saving"], -len(scanner.templates[f["template"]][1]), f["license"], f["start"]))
+    return sorted(chosen(found, text), key=lambda f: (f["start"], f["end"]))
+
+
+def chosen(found: list[dict], text: bytes) -> list[dict]:
+    """Of matches in order of merit, the first of each line in which one starts."""
+    out: dict[int, dict] = {}
+    for f in found:
+        out.setdefault(text.rfind(b"\n", 0, f["start"]), f)
+    # A notice that runs over several lines has the parts of it that match again.
+    return [f for f in out.values() if not any(g is not f and g["start"] <= f["start"] and f["end"] <= g["end"] for g in out.values())]
+
+
+FIELDS = ("license", "start", "end", "saving", "missing", "added", "differences")
 HITS = "array<struct<license:string,start:int,end:int,saving:double,missing:int,added:int,differences:array<string>>>"
 
 
 def scan(docs: DataFrame, *, templates: dict[str, list[str]] | None = None, hints: tuple[str, ...] = HINTS, min_saving: float = 0.25, max_difference: float = 0.15, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """docs (or its columns `keep`) plus `licenses`: for each confirmed block the license, its byte offsets, the saving and
-    the exact wording differences. A line wins over the paragraph around it."""
+    """docs (or its columns `keep`) plus `licenses`: for each confirmed notice the license, its byte offsets, the saving and
+    the exact wording differences."""
     docs = docs.drop("licenses")
     kept = keep or docs.columns
     texts = templates or TEMPLATES
-    hint = re.compile("|".join(map(re.escape, hints)).encode(), re.I)
+    hint = hints_in(hints)
     held: dict[str, Scanner] = {}
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         if not held:
             held["scanner"] = Scanner(texts)
         scanner = held["scanner"]
-        seen: dict[bytes, dict | None] = {}
+        seen: dict[tuple[int, bytes], list[dict]] = {}
         column = []
         for text in batch.column(text_col).cast(pa.binary()).to_pylist():
-            found: list[dict] = []
-            if text and hint.search(text):
-                for at, block in blocks(text):
-                    if not hint.search(block):
-                        continue
-                    if block not in seen:
-                        seen[block] = scanner.best(block, min_saving, max_difference)
-                    if seen[block]:
-                        found.append({"start": at, "end": at + len(block), **seen[block]})
-                lines = [f for f in found if not any(g is not f and f["start"] <= g["start"] and g["end"] <= f["end"] and g["license"] == f["license"] for g in found)]
-                found = sorted(lines, key=lambda f: (f["start"], f["end"]))
-            column.append(found)
+            found = notices(text, scanner, hint, min_saving, max_difference, seen) if text else []
+            column.append([{c: f[c] for c in FIELDS} for f in found])
         kind = pa.list_(pa.struct([("license", pa.string()), ("start", pa.int32()), ("end", pa.int32()), ("saving", pa.float64()), ("missing", pa.int32()), ("added", pa.int32()), ("differences", pa.list_(pa.string()))]))
         return pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(column, kind)], names=[*kept, "licenses"])
 

@@ -1,6 +1,8 @@
 import hashlib
 import itertools
+import random
 import re
+import textwrap
 import zlib
 from collections import Counter
 
@@ -532,6 +534,41 @@ def test_licenses(spark):
     assert licenses.by_document(empty(spark)).count() == 0
 
 
+def test_licenses_do_not_depend_on_the_text_around(spark):
+    short, long = "Released under the MIT License.", licenses.TEMPLATES["MIT"][1]
+    prose = "The quick river of plain words runs on beneath a low grey sky and never says a thing. " * 800
+    wrap = lambda s, mark="": "\n".join(mark + line for line in textwrap.wrap(s, 76))
+    rows = [
+        (1, f"{prose[:500]} {short} {prose[:500]}"),
+        (2, wrap(f"{prose[:1500]} {long} {prose[:1500]}")),
+        (3, wrap(long, " * ")),
+        (4, f"{prose[:65520]} {short} {prose[:2000]}"),
+        (5, f"{prose[:65000]} {long} {prose[:2000]}"),
+        (6, f"{prose[:500]} {long.upper()}"),
+        (7, wrap(f"{prose[:560]} {licenses.TEMPLATES['Unlicense'][0]}", "# ")),
+    ]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    for r in licenses.scan(df).collect():
+        assert [x["license"] for x in r["licenses"]] == ["Unlicense" if r["doc_id"] == 7 else "MIT"]
+        x, text = r["licenses"][0], r["text"].encode()
+        assert x["missing"] == x["added"] == 0 and x["differences"] == []
+        want = {1: short, 4: short, 7: licenses.TEMPLATES["Unlicense"][0]}.get(r["doc_id"], long)
+        assert licenses.words(text[x["start"] : x["end"]]) == licenses.words(want.encode())
+
+
+def test_licenses_with_most_edits_are_candidates():
+    """Saving does not drop what the wording would confirm: random edits, up to the allowed number, in random words."""
+    scanner, rng = licenses.Scanner(licenses.TEMPLATES), random.Random(5)
+    filler = lambda n: [bytes(rng.choices(b"abcdefghijklmnop", k=rng.randint(2, 9))) for _ in range(n)]
+    for k, (name, want, *_) in enumerate(scanner.templates):
+        for _ in range(40):
+            own = list(want)
+            for i in rng.sample(range(len(own)), int(0.15 * len(own))):
+                own[i] = filler(1)[0]
+            found = scanner.matches(k, filler(len(own) * 2) + own + filler(len(own) * 2), 0.25, 0.15)
+            assert [f["license"] for f in found] == [name]
+
+
 def test_licenses_query_finds_every_notice(spark):
     d = "/root/testdata/sf0.001"
     want = {r["doc_id"] for r in spark.read.parquet(f"{d}/documents.parquet").where("text rlike 'Released under the MIT|Licensed under the Apache|licensed under the GNU General|under CC BY-NC'").collect()}
