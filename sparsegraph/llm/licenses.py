@@ -8,7 +8,8 @@ alone and with the template as zstandard raw dictionary; the share of its bytes
 value and ranks the templates. Reported are the byte offsets of the stretch, the saving and the exact differences.
 
 Null and empty texts have no windows. Ties between templates go to more words explained (equal ones less edits), then to the
-larger saving, then to the longer template, then to the name. Repeated rows are scanned each for itself. Very long texts are
+larger saving, then to the longer template, then to the name; of overlapping notices only those go that a better one covers, all
+others are reported, each with its own stretch. Repeated rows are scanned each for itself. Very long texts are
 scanned whole. Other columns stay as they are."""
 
 from __future__ import annotations
@@ -181,16 +182,23 @@ def notices(text: bytes, scanner: Scanner, hint: re.Pattern[bytes], min_saving:
                 seen[k, part] = scanner.matches(k, words(part), min_saving, max_difference)
             found += [{**f, "at": [lo + i for i in f["at"]], "start": starts[lo + f["at"][0]], "end": ends[lo + f["at"][-1]]} for f in seen[k, part]]
     found.sort(key=lambda f: (f["edits"] - len(f["at"]), -f["saving"], -len(scanner.templates[f["template"]][1]), f["license"], f["start"]))
-    return sorted(chosen(found, text), key=lambda f: (f["start"], f["end"]))
+    return sorted(chosen(found), key=lambda f: (f["start"], f["end"]))
 
 
-def chosen(found: list[dict], text: bytes) -> list[dict]:
-    """Of matches in order of merit, the first of each line in which one starts."""
-    out: dict[int, dict] = {}
+def chosen(found: list[dict]) -> list[dict]:
+    """Of matches in order of merit, those that no better one covers. A better one covers what lies within its stretch
+    and has most of its equal words in common with it, or any if of the same template (as seen from another window)."""
+    owners: dict[int, list[dict]] = {}
+    out = []
     for f in found:
-        out.setdefault(text.rfind(b"\n", 0, f["start"]), f)
-    # A notice that runs over several lines has the parts of it that match again.
-    return [f for f in out.values() if not any(g is not f and g["start"] <= f["start"] and f["end"] <= g["end"] for g in out.values())]
+        better = {id(g): g for i in f["at"] for g in owners.get(i, ())}
+        common = Counter(id(g) for i in f["at"] for g in owners.get(i, ()))
+        if any(g["template"] == f["template"] or (g["start"] <= f["start"] and f["end"] <= g["end"] and 2 * common[i] > len(f["at"])) for i, g in better.items()):
+            continue
+        out.append(f)
+        for i in f["at"]:
+            owners.setdefault(i, []).append(f)
+    return out
 
 
 FIELDS = ("license", "start", "end", "saving", "missing", "added", "differences")

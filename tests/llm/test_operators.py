@@ -556,6 +556,27 @@ def test_licenses_do_not_depend_on_the_text_around(spark):
         assert licenses.words(text[x["start"] : x["end"]]) == licenses.words(want.encode())
 
 
+def test_licenses_of_one_block_are_all_found(spark):
+    mit, apache = "Released under the MIT License.", "Licensed under the Apache License, Version 2.0."
+    long = licenses.TEMPLATES["Apache-2.0"][1]
+    rows = [
+        (1, f"{mit} {apache}", ["MIT", "Apache-2.0"]),
+        (2, f"{mit} Some words. {mit} {apache} {mit}", ["MIT", "MIT", "Apache-2.0", "MIT"]),
+        (3, f"{long} or {licenses.TEMPLATES['MIT'][1]}", ["Apache-2.0", "MIT"]),
+        (4, licenses.TEMPLATES["CC-BY-SA-4.0"][1], ["CC-BY-SA-4.0"]),
+        (5, long.replace("a copy", "some copy"), ["Apache-2.0"]),
+        (6, long.replace("you may", f"{mit} you may"), ["Apache-2.0", "MIT"]),
+        (7, " ".join([mit] * 200), ["MIT"] * 200),
+    ]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, want array<string>")
+    for r in licenses.scan(df).collect():
+        assert [x["license"] for x in r["licenses"]] == r["want"]
+    one = {r["doc_id"]: r for r in licenses.by_document(df).collect()}[2]
+    assert (one["n_licenses"], one["licenses"], one["n_differences"]) == (4, "Apache-2.0,MIT", 0)
+    spans = [r["text"].encode()[x["start"] : x["end"]].decode() for r in licenses.scan(df.where("doc_id = 1")).collect() for x in r["licenses"]]
+    assert spans == ["Released under the MIT License", "Licensed under the Apache License, Version 2.0"]
+
+
 def test_licenses_with_most_edits_are_candidates():
     """Saving does not drop what the wording would confirm: random edits, up to the allowed number, in random words."""
     scanner, rng = licenses.Scanner(licenses.TEMPLATES), random.Random(5)
