@@ -31,12 +31,14 @@ def common_neighbours(edges: DataFrame, *, split: bool = False) -> DataFrame:
 def jaccard(edges: DataFrame, method: str = "triangular", *, symmetric: bool = False, split: bool = False, min_score: float | None = None, only_non_edges: bool = False, pairs: DataFrame | None = None) -> DataFrame:
     """(i, j, common, score) with i < j (or both ways), for pairs that have a common neighbour, of a simple graph.
 
-    triangular: wedges, then degrees by inclusion and exclusion. sets: by definition, on neighbour sets, small graphs.
+    triangular: wedges, then degrees by inclusion and exclusion. sets: by definition, on neighbour sets, for pairs that share one.
     dense: the ratio of the AND and the OR product over all pairs, at most 5,000 vertices. minhash: candidate pairs from
     least-hash bands of the neighbour sets, verified exactly; may miss pairs below the usual similarity of 0.8."""
     if method == "sets":
         sets = both_ways(edges).groupBy("row").agg(F.collect_set("col").alias("s"))
-        out = sets.select(F.col("row").alias("i"), F.col("s").alias("a")).join(sets.select(F.col("row").alias("j"), F.col("s").alias("b")), F.expr("i < j and arrays_overlap(a, b)"))
+        near = both_ways(edges).select("col", F.col("row").alias("v"))
+        shared = near.withColumnRenamed("v", "i").join(near.withColumnRenamed("v", "j"), "col").where("i < j").select("i", "j").distinct()
+        out = shared.join(sets.select(F.col("row").alias("i"), F.col("s").alias("a")), "i").join(sets.select(F.col("row").alias("j"), F.col("s").alias("b")), "j")
         out = out.select("i", "j", F.size(F.array_intersect("a", "b")).cast("bigint").alias("common"), (F.size(F.array_intersect("a", "b")) / F.size(F.array_union("a", "b"))).alias("score"))
     elif method == "dense":
         d = degrees(edges)

@@ -590,6 +590,20 @@ def jaccard_sets(spark, d):
     return similarity.jaccard(e, "sets").select("i", "j", "common", r6("score").alias("score"))
 
 
+@query(f"WITH {COP}, {BOTH}, {DEG}, {JAC} SELECT i, j, common, round(score, 6) AS score FROM js")
+def jaccard_sets_all(spark, d):
+    """By definition, over all co-purchase edges."""
+    e = materialise(G.copurchase(spark, d).select("src", "dst"), "edges")
+    return similarity.jaccard(e, "sets").select("i", "j", "common", r6("score").alias("score"))
+
+
+@query(f"WITH {COP}, {BOTH}, {DEG}, {JAC} SELECT i, j, common, round(score, 6) AS score FROM js")
+def jaccard_dense_all(spark, d):
+    """The dense ratio over all co-purchase edges; refuses beyond DENSE_LIMIT vertices."""
+    e = materialise(G.copurchase(spark, d).select("src", "dst"), "edges")
+    return similarity.jaccard(e, "dense").select("i", "j", "common", r6("score").alias("score"))
+
+
 @query(f"WITH {COP}, {BOTH}, {DEG}, {JAC} SELECT i, j, round(score, 6) AS score FROM js WHERE score >= 0.5 AND NOT EXISTS (SELECT 1 FROM cop WHERE src = i AND dst = j)")
 def jaccard_links(spark, d):
     """Pairs that are no edge yet, of a score of at least 0.5; the degree bound prunes wedges before the shuffle."""
@@ -816,6 +830,14 @@ def trade_block(spark, d):
     return t.select("src", *[F.coalesce(str(k), F.lit(0)).alias(f"d{k}") for k in range(3)])
 
 
+@query(f"WITH {TRADE_LINES} SELECT src, {', '.join(f'count(*) FILTER (WHERE dst = {k}) AS d{k}' for k in range(25))} FROM tl GROUP BY 1")
+def trade_block_all(spark, d):
+    """All nations: those of the table are the columns."""
+    keys = sorted(r[0] for r in read_table(spark, d, "nation").select("n_nationkey").collect())
+    t = G.trade_lines(spark, d).groupBy("src").pivot("dst", keys).agg(F.count(F.lit(1)))
+    return t.select("src", *[F.coalesce(F.col(str(k)), F.lit(0)).alias(f"d{k}") for k in keys])
+
+
 @query(f"WITH {TRADE_LINES} SELECT src, CAST(sum(CAST(price AS DECIMAL(18, 2))) AS DECIMAL(38, 2)) AS price FROM tl GROUP BY 1")
 def trade_decimal_sum(spark, d):
     return G.trade_lines(spark, d).groupBy("src").agg(F.sum(F.col("price").cast("decimal(18,2)")).cast("decimal(38,2)").alias("price"))

@@ -342,3 +342,8 @@ def test_schemas(spark, toy):
     assert values(S.partition_block(hyper, [1], [2]), "val", "row", "col") == {(1, 2): 1}
     assert metrics.fill(K.transpose(hyper), 2, 2).first()[0] == 0.75
     assert metrics.products(K.transpose(hyper), hyper).first()[:] == (5, 4)
+
+
+def test_jaccard_sets_joins_on_shared_neighbours(random_edges):
+    plan = similarity.jaccard(random_edges, "sets")._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "Cartesian" not in plan

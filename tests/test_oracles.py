@@ -52,3 +52,13 @@ def test_entry_and_registry(spark):
     df = entry.entry(spark)
     assert df.columns == ["src", "dst", "support", "score"] and df.count() == 2244
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+@pytest.mark.parametrize("name", ["jaccard_sets_all", "jaccard_dense_all", "trade_block_all"])
+def test_whole_tables_equal_sql(spark, duck, name):
+    test_query_equals_sql(spark, duck, name)
+
+
+def test_whole_tables_are_no_block(spark):
+    assert Q.QUERIES["jaccard_sets_all"](spark, "/root/testdata/sf0.01").agg({"j": "max"}).first()[0] >= 60
+    assert len(Q.QUERIES["trade_block_all"](spark, D).columns) == 26
