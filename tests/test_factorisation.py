@@ -124,3 +124,22 @@ def test_spectral(spark, small):
     comp, var, basis = spectral.pca(spark.createDataFrame([(r.tolist(),) for r in x], "vec array<double>"), 3, 5)
     want = np.sort(np.linalg.eigvalsh(np.cov(x.T, bias=True)))[::-1]
     assert np.allclose(var, want[:3]) and np.allclose(basis.T @ basis, np.eye(3)) and comp.count() == 3
+
+
+@pytest.mark.parametrize("block", [7, 1 << 14])
+def test_recommendations_are_the_exact_best(spark, block):
+    rng, k, n, m, top = np.random.default_rng(3), 3, 40, 300, 3
+    w, h = rng.exponential(size=(n, k)), rng.exponential(size=(m, k))
+    h[10] = h[11]  # a tie
+    factor = lambda x: spark.createDataFrame([(i, *map(float, r)) for i, r in enumerate(x)], "id bigint, " + ", ".join(f"{c} double" for c in nmf.names(k)))
+    s = w @ h.T
+    # Row 0 holds its 280 best columns, row 1 all, row 2 none; the others some.
+    held = {0: list(np.argsort(-s[0])[:280]), 1: list(range(m)), 2: []} | {i: list(np.argsort(-s[i])[: 4 * i]) for i in range(3, n)}
+    a = spark.createDataFrame([(i, int(c)) for i, cs in held.items() for c in cs], "row bigint, col bigint")
+    model = nmf.NmfModel(factor(w), factor(h), k)
+    got = {}
+    for r in nmf.recommend(model, a, top, block=block).orderBy("row", "rank").collect():
+        got.setdefault(r["row"], []).append(r["col"])
+        assert r["score"] == pytest.approx(s[r["row"], r["col"]]) and r["rank"] == len(got[r["row"]])
+    want = {i: [int(c) for c in sorted(set(range(m)) - set(held[i]), key=lambda c: (-s[i, c], c))[:top]] for i in range(n)}
+    assert got == {i: c for i, c in want.items() if c}
