@@ -99,6 +99,15 @@ def _minhash_pairs(edges: DataFrame, bands: int = 12, rows: int = 3) -> DataFram
     return k.select(F.col("v").alias("i"), "b", "h").join(k.select(F.col("v").alias("j"), "b", "h"), ["b", "h"]).where("i < j").select("i", "j").distinct()
 
 
+def shared_columns(a: DataFrame, b: DataFrame, *, per: int = 10_000) -> DataFrame:
+    """(row of a, col = row of b, val): numbers of columns that two patterns (row, col) have in common. A column that more
+    than `per` rows of b hold is dealt over as many join keys as it takes; no column is left out."""
+    wide = b.groupBy("col").agg(F.ceil(F.count("*") / per).alias("keys"))
+    y = b.join(wide, "col").select("col", F.col("row").alias("other"), F.pmod(F.xxhash64("row"), F.col("keys")).alias("key"))
+    x = a.join(wide, "col").select("row", "col", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("keys") - 1)).alias("key"))
+    return x.join(y, ["col", "key"]).groupBy("row", F.col("other").alias("col")).agg(F.count("*").alias("val"))
+
+
 def top_k(scores: DataFrame, k: int) -> DataFrame:
     """The k best partners of each i; ties go to the smaller j."""
     w = W.partitionBy("i").orderBy(F.col("score").desc(), "j")

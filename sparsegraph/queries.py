@@ -551,6 +551,14 @@ def benchmark_doc_overlap(spark, d):
     return K.spgemm(K.spref(b, cols=rare), K.transpose(a), PLUS_PAIR)
 
 
+@query(f"WITH {TOKENS}, b AS (SELECT DISTINCT doc_id, term FROM tok WHERE term <> ''), i AS (SELECT DISTINCT item_id, term FROM (SELECT item_id, unnest(string_split_regex(lower(text), '[ \\t\\n\\r\\f\\v]+')) AS term FROM benchmark) WHERE term <> '') SELECT i.item_id AS row, b.doc_id AS col, count(*) AS val FROM i JOIN b ON b.term = i.term GROUP BY 1, 2")
+def benchmark_doc_overlap_all(spark, d):
+    """Items by documents: all shared terms, however many documents hold them."""
+    a = N.doc_term(read_table(spark, d, "documents"), min_df=1).select("row", "col")
+    b = N.doc_term(read_table(spark, d, "benchmark"), id_col="item_id", min_df=1).select("row", "col")
+    return similarity.shared_columns(b, a)
+
+
 # --- similarity and prediction --------------------------------------------------------------------------------------------------------
 
 JAC = "jac AS (SELECT a.r AS i, b.r AS j, count(*) AS common FROM bw a JOIN bw b ON a.c = b.c AND a.r < b.r GROUP BY 1, 2), js AS (SELECT i, j, common, common / (x.d + y.d - common) AS score FROM jac JOIN deg x ON x.id = i JOIN deg y ON y.id = j)"

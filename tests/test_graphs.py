@@ -347,3 +347,13 @@ def test_schemas(spark, toy):
 def test_jaccard_sets_joins_on_shared_neighbours(random_edges):
     plan = similarity.jaccard(random_edges, "sets")._jdf.queryExecution().executedPlan().toString()
     assert "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+@pytest.mark.parametrize("per", [3, 10_000])
+def test_shared_columns_keep_hot_ones(spark, per):
+    """Column 0 is in all 60 rows, the others in some."""
+    rows = {r: {0} | {c for c in range(1, 9) if (r * c) % 7 < 2} for r in range(60)}
+    few = {i: {0, i, i + 1} for i in range(4)}
+    frame = lambda x: spark.createDataFrame([(r, c) for r, cs in x.items() for c in cs], "row bigint, col bigint")
+    got = {(r["row"], r["col"]): r["val"] for r in similarity.shared_columns(frame(few), frame(rows), per=per).collect()}
+    assert got == {(i, r): len(few[i] & rows[r]) for i in few for r in rows if few[i] & rows[r]}

@@ -54,7 +54,7 @@ def test_entry_and_registry(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
-@pytest.mark.parametrize("name", ["jaccard_sets_all", "jaccard_dense_all", "trade_block_all"])
+@pytest.mark.parametrize("name", ["jaccard_sets_all", "jaccard_dense_all", "trade_block_all", "benchmark_doc_overlap_all"])
 def test_whole_tables_equal_sql(spark, duck, name):
     test_query_equals_sql(spark, duck, name)
 
