@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -200,3 +202,19 @@ def closeness(a: DataFrame, sources: DataFrame | None = None, *, harmonic: bool
     found = bfs_levels(a, sources if sources is not None else ids).where("level > 0")
     value = F.sum(1 / F.col("level")) if harmonic else F.count("*") / F.sum("level")
     return (sources if sources is not None else ids).select("id").join(found.groupBy(F.col("source").alias("id")).agg(value.cast("double").alias("score")), "id", "left").select("id", F.coalesce("score", F.lit(0.0)).alias("score"))
+
+
+def by_source_blocks(a: DataFrame, measure: Callable[[DataFrame, DataFrame], DataFrame], cells: int = 50_000_000) -> DataFrame:
+    """(id, score) summed over blocks of sources that together are all vertices. A block has so many sources that it
+    reaches about `cells` pairs of source and vertex at most; blocks run one after the other against all edges."""
+    ids = materialise(endpoints(a).select("id"), "vertices")
+    n = ids.count()
+    blocks = max(1, -(-n * n // cells))
+    dealt = materialise(ids.withColumn("_b", F.pmod(F.xxhash64("id"), F.lit(blocks))), "blocks")
+    total = None
+    for b in range(blocks):
+        part = measure(a, dealt.where(F.col("_b") == b).select("id"))
+        total = part if total is None else total.unionByName(part)
+        # The written sum keeps the plan short.
+        total = materialise(total.groupBy("id").agg(F.sum("score").alias("score")), "block-sum")
+    return total

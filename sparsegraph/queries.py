@@ -425,11 +425,29 @@ def closeness_sample(spark, d):
     return centrality.closeness(a, src).select("id", r6("score").alias("score"))
 
 
+@query()
+def closeness_all(spark, d):
+    """Of every vertex, in blocks of sources."""
+    a = materialise(adjacency(spark, d), "adjacency")
+    return centrality.by_source_blocks(a, centrality.closeness).select("id", r6("score").alias("score"))
+
+
+@query()
+def betweenness_all(spark, d):
+    """Paths from every vertex, in blocks of sources."""
+    a = materialise(adjacency(spark, d), "adjacency")
+    return centrality.by_source_blocks(a, centrality.betweenness).select("id", r6("score").alias("score"))
+
+
 @query()
 def betweenness_sample(spark, d):
-    """From every fiftieth vertex: a sampling operator."""
+    """From one vertex in fifty by hash, with scores divided by the share of sources taken: an estimate of
+    betweenness_all."""
     a = materialise(adjacency(spark, d), "adjacency")
-    return centrality.betweenness(a, centrality.endpoints(a).where("id % 50 = 0")).select("id", r6("score").alias("score"))
+    ids = centrality.endpoints(a)
+    src = materialise(ids.where(F.pmod(F.xxhash64("id"), F.lit(50)) == 0), "sources")
+    scale = ids.count() / max(src.count(), 1)
+    return centrality.betweenness(a, src).select("id", r6(F.col("score") * F.lit(scale)).alias("score"))
 
 
 # --- trusses ----------------------------------------------------------------------------------------------------------------------------

@@ -4,6 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from sparsegraph import queries as Q
 from sparsegraph.functions.semiring import MAX_MIN, MAX_PLUS
 from sparsegraph.operators import centrality as C
 from sparsegraph.operators import kernels as K
@@ -357,3 +358,22 @@ def test_shared_columns_keep_hot_ones(spark, per):
     frame = lambda x: spark.createDataFrame([(r, c) for r, cs in x.items() for c in cs], "row bigint, col bigint")
     got = {(r["row"], r["col"]): r["val"] for r in similarity.shared_columns(frame(few), frame(rows), per=per).collect()}
     assert got == {(i, r): len(few[i] & rows[r]) for i in few for r in rows if few[i] & rows[r]}
+
+
+@pytest.mark.parametrize("measure", [C.betweenness, C.closeness])
+def test_blocks_of_sources_are_all_sources(random_edges, measure):
+    a = S.both_ways(random_edges).select("row", "col")
+    n = C.endpoints(a).count()
+    assert values(C.by_source_blocks(a, measure, cells=n * n // 3), "score", "id") == pytest.approx(values(measure(a), "score", "id"))
+
+
+def test_betweenness_of_the_whole_table(spark):
+    """A vertex of the co-purchase graph that has two neighbours which are no neighbours of each other lies between them."""
+    d = "/root/testdata/sf0.001"
+    got = values(Q.QUERIES["betweenness_all"](spark, d), "score", "id")
+    near = {}
+    for r in copurchase(spark, d).collect():
+        near.setdefault(r["src"], set()).add(r["dst"])
+        near.setdefault(r["dst"], set()).add(r["src"])
+    assert set(got) == set(near)
+    assert all((got[v] > 0) == any(y not in near[x] for x, y in itertools.combinations(near[v], 2)) for v in near)
