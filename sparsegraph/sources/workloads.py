@@ -9,6 +9,7 @@ from pyspark.sql import Window as W
 from sparsegraph.functions.semiring import PLUS_PAIR
 from sparsegraph.operators.kernels import gram
 from sparsegraph.operators.schema import ExplodedTables, explode_schema, hyper_incidence
+from sparsegraph.plans.state import materialise
 
 from .tables import read_table
 
@@ -86,16 +87,42 @@ def page_link(spark: SparkSession, d: str) -> DataFrame:
     return p.select(F.col("url").alias("src"), F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), 1)).alias("dst")).groupBy("src", "dst").agg(F.count("*").alias("w"))
 
 
-def embed_sim(spark: SparkSession, d: str, t: float = 0.3, limit: int = 20_000) -> DataFrame:
-    """(src, dst, w), src < dst: vectors of cosine above t; every pair is compared, so at most `limit` vectors."""
-    e = read_table(spark, d, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("v"))
-    if e.count() > limit:
-        raise ValueError(f"all pairs are for at most {limit} vectors")
-    norm = F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))
-    e = e.select("vec_id", F.transform("v", lambda x: x / norm).alias("v"))
-    a, b = e.select(F.col("vec_id").alias("src"), F.col("v").alias("a")), e.select(F.col("vec_id").alias("dst"), F.col("v").alias("b"))
-    w = F.aggregate(F.zip_with("a", "b", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    return a.join(b, F.expr("src < dst")).select("src", "dst", w.alias("w")).where(F.col("w") > t)
+def embed_sim(spark: SparkSession, d: str, t: float = 0.3, block: int = 512) -> DataFrame:
+    """(src, dst, w), src < dst: vectors of cosine above t. Exact at any size: blocks of about `block` vectors meet each
+    other, and a pair of blocks is one product of matrices. Vectors that are null or of length 0 have no cosine."""
+    e = read_table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v")).where("v is not null")
+    kind = e.schema["id"].dataType.simpleString()
+    n = max(1, -(-e.count() // block))
+    packed = materialise(e.groupBy(F.pmod(F.xxhash64("id"), F.lit(n)).alias("b")).agg(F.collect_list(F.struct("id", "v")).alias("x")).select("b", F.col("x.id").alias("ids"), F.flatten("x.v").alias("v")), "vectors")
+    left = packed.repartition(min(n, 1000)).select(*[F.col(c).alias(f"{c}1") for c in packed.columns])
+    return left.join(packed, F.expr("b1 <= b")).mapInArrow(_cosines(t), f"src {kind}, dst {kind}, w double")
+
+
+def _cosines(t: float):
+    """Pairs of vectors of two blocks with a cosine above t; a block with itself gives each pair once."""
+
+    def run(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        def unit(ids, v):
+            x = v.values.to_numpy(zero_copy_only=False).reshape(len(ids), -1)
+            with np.errstate(invalid="ignore", divide="ignore"):
+                return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+
+        for batch in batches:
+            for k in range(batch.num_rows):
+                b1, ids1, v1, b2, ids2, v2 = (batch.column(c)[k] for c in ("b1", "ids1", "v1", "b", "ids", "v"))
+                ids1, ids2 = ids1.values, ids2.values
+                w = unit(ids1, v1) @ unit(ids2, v2).T
+                i, j = np.nonzero(w > t)
+                w = w[i, j]
+                x, y = ids1.to_numpy(zero_copy_only=False)[i], ids2.to_numpy(zero_copy_only=False)[j]
+                keep = x < y if b1.as_py() == b2.as_py() else x != y
+                x, y, w = x[keep], y[keep], w[keep]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y), ids1.type), pa.array(np.maximum(x, y), ids1.type), pa.array(w)], names=["src", "dst", "w"])
+
+    return run
 
 
 def exploded_events(spark: SparkSession, d: str) -> ExplodedTables:

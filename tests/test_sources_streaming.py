@@ -1,5 +1,8 @@
 import os
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -8,6 +11,7 @@ from sparsegraph.operators import schema as S
 from sparsegraph.operators import truss
 from sparsegraph.sources import coordinate, tables
 from sparsegraph.sources import workloads as G
+from sparsegraph.sources.tables import read_table
 from sparsegraph.streaming import graph as stream
 
 D = "/root/testdata/sf0.001"
@@ -137,3 +141,22 @@ def test_no_names_leak():
         for n in names:
             if n.endswith(".py"):
                 assert "sparsegraph.llm" not in open(os.path.join(folder, n)).read()
+
+
+def test_embed_sim_has_no_size_limit(spark, tmp_path):
+    """20,100 vectors in clusters of 3 that are orthogonal or nearly so to most others, and one of length 0."""
+    rng, n, width = np.random.default_rng(1), 20_100, 64
+    base = np.repeat(rng.normal(size=(n // 3, width)), 3, axis=0) + 0.01 * rng.normal(size=(n, width))
+    base[5] = 0
+    pq.write_table(pa.table({"vec_id": np.arange(n), "embedding": pa.array(list(base), pa.list_(pa.float64()))}), tmp_path / "embeddings.parquet")
+    got = {(r["src"], r["dst"]) for r in G.embed_sim(spark, str(tmp_path), 0.9).collect()}
+    assert got == {(a, b) for c in range(0, n, 3) for a, b in ((c, c + 1), (c, c + 2), (c + 1, c + 2)) if 5 not in (a, b)}
+
+
+def test_embed_sim_blocks_agree_with_brute_force(spark):
+    e = read_table(spark, D, "embeddings").orderBy("vec_id").collect()
+    x = np.array([r["embedding"] for r in e], dtype=float)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    want = {(e[i]["vec_id"], e[j]["vec_id"]): (x @ x.T)[i, j] for i, j in zip(*np.nonzero(np.triu(x @ x.T > 0.3, 1)))}
+    got = {(r["src"], r["dst"]): r["w"] for r in G.embed_sim(spark, D, 0.3, block=37).collect()}
+    assert got == pytest.approx(want)
