@@ -22,7 +22,6 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 from sparsegraph.operators.components import components
 
@@ -127,162 +126,3 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 3, distance: int = 2, tex
 
 def hex_print(fp: Column) -> Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
-
-
-# --- Similarity of 0.8 and less close copies -------------------------------------------------------------------------
-# Texts that share 0.8 of their five-word shingles differ in 8 to 14 of 64 bits, where pigeonhole blocks would be 4 bits
-# wide and hold everything. So candidates beyond 2 bits come from bands of least shingle hashes, and every candidate,
-# from blocks or bands, is verified by the exact Jaccard index of its shingle sets. A band bucket of more than BUCKET texts
-# is compared with its least text first; buckets that are then still in several parts go through an exact prefix join.
-BANDS, ROWS = 16, 4
-SIMILARITY = 0.8
-SHINGLE = 5
-
-
-def multipliers() -> np.ndarray:
-    """Odd 64-bit factors of a fixed sequence, one for each least hash."""
-    x, out = 0x243F6A8885A308D3, []
-    for _ in range(BANDS * ROWS):
-        x = (x * 6364136223846793005 + 1442695040888963407) % (1 << 64)
-        out.append(x | 1)
-    return np.array(out, np.uint64)
-
-
-def band_keys(hashes: np.ndarray, begin: np.ndarray) -> np.ndarray:
-    """(texts, BANDS): a key for each band of ROWS least hashes; texts without shingles have the key zero."""
-    full = np.flatnonzero(np.diff(begin) > 0)
-    keys = np.zeros((len(begin) - 1, BANDS), np.uint64)
-    if not len(full):
-        return keys
-    with np.errstate(over="ignore"):
-        for i, m in enumerate(multipliers()):
-            x = hashes * m
-            x ^= x >> np.uint64(32)
-            x *= np.uint64(0x9E3779B97F4A7C15)
-            low = np.minimum.reduceat(x, begin[full])
-            keys[full, i // ROWS] = (keys[full, i // ROWS] ^ low) * np.uint64(0xBF58476D1CE4E5B9) + np.uint64(i)
-    return keys
-
-
-def marks(docs: DataFrame) -> DataFrame:
-    """(id, fp, whole, keys): fingerprint, a hash of all words, band keys."""
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        texts = texts_of(batch.column(1))
-        hashes, begin = shingle_hashes(texts, SHINGLE)
-        whole, _ = shingle_hashes(texts, 1 << 40)
-        some = np.zeros(len(texts), np.uint64)
-        some[np.diff(begin) > 0] = whole
-        keys = band_keys(hashes, begin)
-        edge = np.arange(0, BANDS * len(texts) + 1, BANDS, dtype=np.int32)
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(fold_bits(hashes, begin).view(np.int64)), pa.array(some.view(np.int64)), pa.ListArray.from_arrays(pa.array(edge), pa.array(keys.reshape(-1).view(np.int64)))], names=["id", "fp", "whole", "keys"])
-
-    return map_rows(docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("id"), "text"), run, "id long, fp long, whole long, keys array<long>")
-
-
-def shingle_sets(docs: DataFrame) -> DataFrame:
-    """(id, shingles): the sorted distinct shingle hashes as bytes."""
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        hashes, begin = shingle_hashes(texts_of(batch.column(1)), SHINGLE)
-        sets = [np.unique(hashes[a:b]).tobytes() for a, b in zip(begin[:-1].tolist(), begin[1:].tolist(), strict=True)]
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], names=["id", "shingles"])
-
-    return map_rows(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), run, "id long, shingles binary")
-
-
-def candidates(prints: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(src, dst) of texts (rep, fp, keys) that share a band or are at most 2 bits apart, and (t, key, rep) of the buckets of
-    more than BUCKET texts. Of those buckets, each text is only paired with the least one: see `prefix_pairs` for the rest."""
-    by_fp = prints.groupBy("fp").agg(F.min("rep").alias("rep"))
-    same = prints.select("fp", F.col("rep").alias("dst")).join(by_fp.withColumnRenamed("rep", "src"), "fp").where("src < dst").select("src", "dst")
-    rows = prints.select("rep", F.posexplode("keys").alias("t", "key"))
-    sizes = rows.groupBy("t", "key").agg(F.count("*").alias("n"), F.min("rep").alias("least")).where("n > 1")
-    held = materialise(rows.join(sizes, ["t", "key"]), "bands")
-    small, large = held.where(F.col("n") <= BUCKET), held.where(F.col("n") > BUCKET)
-    pairs = small.select("t", "key", F.col("rep").alias("src")).join(small.select("t", "key", F.col("rep").alias("dst")), ["t", "key"]).where("src < dst").select("src", "dst")
-    stars = large.where(F.col("rep") > F.col("least")).select(F.col("least").alias("src"), F.col("rep").alias("dst"))
-    near = pairs.union(stars).union(same).union(links(by_fp, 2).select(F.least("src", "dst"), F.greatest("src", "dst"))).distinct()
-    return near, large.select("t", "key", "rep")
-
-
-def undecided(large: DataFrame, found: DataFrame) -> DataFrame:
-    """(rep, component) of the texts in large buckets that the components `found` leave in more than one part."""
-    named = large.join(found.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    parts = named.groupBy("t", "key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a <> b").select("t", "key")
-    return named.join(parts, ["t", "key"], "left_semi").select("rep", "component").distinct()
-
-
-def prefix_pairs(docs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
-    """(src, dst): candidates that hold every pair of `texts` (rep, component) of different components whose Jaccard index
-    is at least `similarity`.
-
-    With shingles in order of rarity, two sets of that similarity share one among the first n - ceil(similarity * n) + 1
-    of each. Of the texts that share such a shingle, those of its most frequent component are not paired with each other,
-    as they are linked already; so a group of copies costs its size times the number of strangers in it, not its square."""
-    sets = shingle_sets(docs.select("doc_id", "text").join(texts.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"]))
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        each = [np.frombuffer(x.as_buffer(), np.int64) for x in batch.column("shingles")]
-        n = np.array([len(x) for x in each])
-        return pa.RecordBatch.from_arrays([batch.column("id").take(pa.array(np.repeat(np.arange(len(n)), n))), pa.array(np.repeat(n, n)), pa.array(np.concatenate(each))], names=["rep", "n", "shingle"])
-
-    rows = materialise(map_rows(sets, run, "rep long, n long, shingle long"), "shingles")
-    held = rows.groupBy("shingle").agg(F.count("*").alias("texts"))
-    rank = F.row_number().over(W.partitionBy("rep").orderBy("texts", "shingle"))
-    first = rows.join(held, "shingle").withColumn("rank", rank).where((F.col("rank") <= F.col("n") - F.ceil(F.col("n") * similarity - 1e-9) + 1) & (F.col("texts") > 1))
-    first = materialise(first.select("rep", "n", "rank", "shingle").join(texts, "rep"), "prefixes")
-    sizes = first.groupBy("shingle", "component").agg(F.count("*").alias("k"))
-    main = sizes.groupBy("shingle").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts")).where("parts > 1").select("shingle", "main")
-    split = materialise(first.join(main, "shingle"), "split")
-    strangers = split.where("component <> main").select("shingle", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("rank").alias("rx"), F.col("component").alias("cx"))
-    # A pair shares at most the shingles from its first common one on; that row passes if the pair is similar.
-    shared = F.least(F.col("nx") - F.col("rx"), F.col("n") - F.col("rank")) + 1
-    enough = shared >= (F.col("nx") + F.col("n")) * (similarity / (1 + similarity)) - 1e-9
-    both = strangers.join(split, "shingle").where((F.col("cx") != F.col("component")) & enough)
-    return both.select(F.least("x", "rep").alias("src"), F.greatest("x", "rep").alias("dst")).distinct()
-
-
-def similar(docs: DataFrame, pairs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
-    """The pairs whose shingle sets have a Jaccard index of at least `similarity`."""
-    pairs = materialise(pairs, "pairs")
-    ids = pairs.select(F.col("src").alias("doc_id")).union(pairs.select("dst")).distinct()
-    sets = materialise(shingle_sets(docs.select("doc_id", "text").join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"])), "sets")
-    both = pairs.join(sets.select(F.col("id").alias("src"), F.col("shingles").alias("a")), "src").join(sets.select(F.col("id").alias("dst"), F.col("shingles").alias("b")), "dst")
-
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        keep = []
-        for k, (x, y) in enumerate(zip(batch.column("a"), batch.column("b"), strict=True)):
-            x, y = (np.frombuffer(v.as_buffer(), np.uint64) for v in (x, y))
-            shared = len(np.intersect1d(x, y, assume_unique=True))
-            if shared >= similarity * (len(x) + len(y) - shared):
-                keep.append(k)
-        return batch.select(["src", "dst"]).take(pa.array(keep, pa.int64()))
-
-    return map_rows(both.select("src", "dst", "a", "b"), run, "src long, dst long")
-
-
-def similar_groups(docs: DataFrame, *, similarity: float = SIMILARITY) -> DataFrame:
-    """(doc_id, component_id) for each distinct id that is not null; five-word shingles. Equal word sequences are one text
-    from the start."""
-    marked = materialise(marks(docs), "marks")
-    prints = materialise(marked.groupBy("whole", "fp").agg(F.min("id").alias("rep"), F.min_by("keys", "id").alias("keys")), "texts")
-    near, large = candidates(prints)
-    pairs = materialise(similar(docs, near, similarity), "links")
-    found = materialise(components(pairs), "found")
-    rest = materialise(undecided(large, found), "undecided")
-    if not rest.isEmpty():
-        found = components(pairs.union(similar(docs, prefix_pairs(docs, rest, similarity), similarity)))
-    named = prints.join(found.withColumnRenamed("id", "rep"), "rep", "left").select("whole", "fp", F.coalesce("component", "rep").alias("component_id"))
-    return marked.join(named, ["whole", "fp"]).groupBy("id").agg(F.min("component_id").alias("component_id")).withColumnRenamed("id", "doc_id")
-
-
-def keep_one(docs: DataFrame, *, similarity: float = SIMILARITY) -> DataFrame:
-    """docs with one document of each group of near duplicates, that with the smallest id. Rows without an id take no part
-    and stay; of rows that share an id one stays."""
-    groups = materialise(similar_groups(docs, similarity=similarity), "groups")
-    stay = groups.where("doc_id = component_id").select("doc_id")
-    out = docs.join(stay, "doc_id", "left_semi")
-    if docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count():
-        out = out.dropDuplicates(["doc_id"])
-    return out.union(docs.where("doc_id is null")).select(*docs.columns)

@@ -380,92 +380,6 @@ def test_simhash_odd_rows(spark, docs):
     assert simhash.near_duplicates(empty(spark)).count() == 0
 
 
-def brute_groups(rows, similarity=0.8):
-    """Components of all pairs of texts whose five-word shingle sets have that Jaccard index."""
-    shingles = {}
-    for i, t in rows:
-        w = t.lower().split()
-        shingles[i] = {" ".join(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if w else set()
-    parent = {i: i for i, _ in rows}
-
-    def find(i):
-        while parent[i] != i:
-            i = parent[i]
-        return i
-
-    for a, b in itertools.combinations(shingles, 2):
-        x, y = shingles[a], shingles[b]
-        if len(x & y) >= similarity * len(x | y):
-            p, q = find(a), find(b)
-            parent[max(p, q)] = min(p, q)
-    return {i: find(i) for i in parent}
-
-
-def test_similar_groups_against_all_pairs(spark):
-    rng = np.random.default_rng(4)
-    vocabulary = [f"w{i}" for i in range(500)]
-    rows = []
-    for g in range(12):
-        base = list(rng.choice(vocabulary, 120))
-        for k in range(8):
-            t = list(base)
-            for p in rng.choice(120, int(rng.integers(0, 4)), replace=False):
-                t[p] = str(rng.choice(vocabulary))
-            rows.append((100 * g + k, " ".join(t)))
-    rows += [(5000, ""), (5001, " "), (5002, "one"), (5003, "ONE")]
-    want = brute_groups(rows)
-    df = spark.createDataFrame(rows, "doc_id bigint, text string")
-    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_groups(df).collect()}
-    assert got == want
-    odd = awkward(df).unionAll(awkward(df).limit(1).withColumn("doc_id", F.lit(None).cast("bigint")))
-    assert simhash.keep_one(odd).count() == len(set(want.values())) + 1
-
-
-@pytest.mark.parametrize("bucket", [1, 4])
-def test_large_buckets_lose_no_link(spark, monkeypatch, bucket):
-    """Chains of copies whose ends are far from the least one, and strangers that share a long passage with them."""
-    monkeypatch.setattr(simhash, "BUCKET", bucket)
-    rng = np.random.default_rng(9)
-    vocabulary = [f"w{i}" for i in range(900)]
-    rows = []
-    for g in range(4):
-        text = list(rng.choice(vocabulary, 150))
-        for k in range(30):  # each a small step from the one before
-            p = int(rng.integers(0, 145))
-            text[p : p + 4] = rng.choice(vocabulary, 4)
-            rows.append((int(rng.integers(0, 1000)) * 1000 + 100 * g + k, " ".join(text)))
-    passage = list(rng.choice(vocabulary, 100))
-    for k in range(40):  # alike, yet no near copies; every third has one
-        own = list(rng.choice(vocabulary, 22))
-        rows.append((2_000_000 + k, " ".join(passage + own)))
-        if k % 3 == 0:
-            rows.append((3_000_000 - k, " ".join([*passage, *own[:-1], "other"])))
-    want = brute_groups(rows)
-    made = []
-    plain = simhash.prefix_pairs
-    monkeypatch.setattr(simhash, "prefix_pairs", lambda *a: made.append(plain(*a)) or made[-1])
-    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
-    assert got == want
-    assert made
-
-
-def test_prefix_pairs_hold_every_similar_pair(spark):
-    rng = np.random.default_rng(11)
-    vocabulary = [f"w{i}" for i in range(400)]
-    base, rows = list(rng.choice(vocabulary, 90)), []
-    for k in range(30):
-        t = list(base)
-        for p in rng.choice(90, k % 5, replace=False):
-            t[p] = str(rng.choice(vocabulary))
-        rows.append((k, " ".join(t[: 90 - k % 7])))
-    sets = {i: {tuple(w[j : j + 5]) for j in range(len(w) - 4)} for i, w in ((i, t.split()) for i, t in rows)}
-    want = {(a, b) for a, b in itertools.combinations(sets, 2) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
-    df = spark.createDataFrame(rows, "doc_id bigint, text string")
-    alone = df.select(F.col("doc_id").alias("rep"), F.col("doc_id").alias("component"))
-    got = {(r["src"], r["dst"]) for r in simhash.prefix_pairs(df, alone, 0.8).collect()}
-    assert len(want) > 30 and want <= got
-
-
 # --- op8 ---------------------------------------------------------------------------------------------------------------
 
 
