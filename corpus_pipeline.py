@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sparsegraph.llm import decontaminate, linededup, pieces, simhash, toxicity
+from sparsegraph.llm import decontaminate, linededup, neardup, pieces, toxicity
 from sparsegraph.llm.common import fold, materialise, table
 from sparsegraph.llm.queries import TOKENIZERS
 
@@ -27,7 +27,7 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_one(docs)
+    return neardup.keep_one(docs)
 
 
 def drop_benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
