@@ -112,7 +112,7 @@ class Range:
 
     def __init__(self, file, low: int, size: int):
         self.file, self.base, self.size = file, low, size
-        self.held = b""
+        self.held = bytearray()
 
     def have(self, end: int) -> bool:
         """Reads on until the bytes before `end` (a file offset) are held, or the file ends."""
@@ -122,7 +122,7 @@ class Range:
         return self.base + len(self.held) >= end
 
     def drop(self, before: int) -> None:
-        self.held = self.held[before - self.base :]
+        del self.held[: before - self.base]
         self.base = before
 
 
@@ -136,7 +136,7 @@ def inflate(view: Range, at: int) -> tuple[bytes, int] | None:
             if not view.have(pos + 1):
                 return None
             view.have(pos + step)
-            piece = view.held[pos - view.base : pos - view.base + step]
+            piece = bytes(view.held[pos - view.base : pos - view.base + step])
             out.append(unpack.decompress(piece))
             pos += len(piece) - len(unpack.unused_data)
             if not checked and (head := b"".join(out)[:7]):
