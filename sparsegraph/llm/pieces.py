@@ -2,8 +2,9 @@
 
 Normalisation is done here: at each position the longest prefix that the model's compiled character map (a double-array
 trie and a pool of replacements) knows is replaced, every normalised byte remembers the span of original bytes it came
-from, and white space is collapsed, prefixed and escaped as the model's options say. Pieces are those of the library;
-their lengths in the normalised bytes, laid over the alignment, give every piece its span of the original UTF-8 bytes.
+from, and white space is collapsed, prefixed and escaped as the model's options say. The normalised text goes to the library's encoder with its own normaliser
+switched off, so the pieces are those of the bytes made here; their lengths, laid over the alignment, give every piece its
+span of the original UTF-8 bytes. Models that put white space after words are refused.
 
 Null counts as the empty text: begin and end id alone. Repeated rows are encoded each for itself. Very long texts are
 encoded whole. Other columns stay as they are."""
@@ -131,32 +132,40 @@ class PieceModel:
         self.library = sentencepiece.SentencePieceProcessor(model_proto=blob)
         proto = sentencepiece_model_pb2.ModelProto()
         proto.ParseFromString(blob)
+        if proto.trainer_spec.treat_whitespace_as_suffix:
+            raise NotImplementedError("white space after words")
+        plain = sentencepiece_model_pb2.ModelProto()
+        plain.CopyFrom(proto)
+        plain.normalizer_spec.precompiled_charsmap = b""
+        plain.normalizer_spec.add_dummy_prefix = plain.normalizer_spec.remove_extra_whitespaces = plain.normalizer_spec.escape_whitespaces = False
+        self.encoder = sentencepiece.SentencePieceProcessor(model_proto=plain.SerializeToString())
         self.normaliser = Normaliser(proto.normalizer_spec)
         self.length = [1 if p.type == p.BYTE else len(p.piece.encode()) for p in proto.pieces]
         self.unknown = {i for i, p in enumerate(proto.pieces) if p.type == p.UNKNOWN}
 
-    def encode(self, texts: list[str]) -> list[list[int]]:
-        return self.library.encode(texts, add_bos=True, add_eos=True, num_threads=1)
+    def encode(self, texts: list[str]) -> tuple[list[list[int]], list[tuple[bytes, np.ndarray, np.ndarray]]]:
+        """The ids of each text, and its alignment."""
+        aligned = [self.normaliser.align(t.encode()) for t in texts]
+        return self.encoder.encode([a[0].decode() for a in aligned], add_bos=True, add_eos=True, num_threads=1), aligned
 
     def decode(self, ids: list[list[int]]) -> list[str]:
         return self.library.decode(ids, num_threads=1) if ids else []
 
-    def spans(self, text: str, ids: list[int]) -> tuple[np.ndarray, np.ndarray]:
-        """Start and end of each id in the original bytes; begin and end ids are empty. A piece of an unknown character
-        takes what the known ones leave it."""
-        raw = text.encode()
-        normal, first, last = self.normaliser.align(raw)
+    def spans(self, size: int, ids: list[int], aligned: tuple[bytes, np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+        """Start and end of each id in the `size` original bytes; begin and end ids are empty. A piece of an unknown
+        character covers what the library says."""
+        normal, first, last = aligned
         inner = ids[1:-1]
         if self.unknown.isdisjoint(inner):
             width = [self.length[i] for i in inner]
-        else:  # the library's own surface tells how much an unknown piece covers
-            pieces = self.library.encode(text, return_type="proto").pieces
-            width = [len(p.piece.encode()) if p.id in self.unknown else self.length[p.id] for p in pieces]
+        else:
+            pieces = self.encoder.encode(normal.decode(), return_type="proto").pieces
+            width = [len(p.surface.encode()) if p.id in self.unknown else self.length[p.id] for p in pieces]
         edge = np.concatenate(([0], np.cumsum(np.array(width, np.int64))))
         if edge[-1] != len(normal):
             raise ValueError("pieces do not add up to the normalised text")
         start, end = (first[edge[:-1]], last[edge[1:] - 1]) if inner else (first[:0], last[:0])
-        return np.concatenate(([0], start, [len(raw)])), np.concatenate(([0], end, [len(raw)]))
+        return np.concatenate(([0], start, [size])), np.concatenate(([0], end, [size]))
 
 
 def lists(arrays: list[np.ndarray]) -> pa.ListArray:
@@ -187,10 +196,10 @@ def encode(docs: DataFrame, model_path: str, *, text_col: str = "text", offsets:
             held["model"] = PieceModel(shared.value)
         model = held["model"]
         texts = [t or "" for t in batch.column(text_col).to_pylist()]
-        ids = model.encode(texts)
+        ids, aligned = model.encode(texts)
         columns = [lists([np.asarray(i, np.int32) for i in ids])]
         if offsets:
-            spans = [model.spans(t, i) for t, i in zip(texts, ids, strict=True)]
+            spans = [model.spans(len(t.encode()), i, a) for t, i, a in zip(texts, ids, aligned, strict=True)]
             columns += [lists([s[k].astype(np.int32) for s in spans]) for k in (0, 1)]
         return pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), *columns], names=[*kept, *(m.split()[0] for m in more)])
 
@@ -208,12 +217,12 @@ def round_trip(docs: DataFrame, model_path: str, *, check_offsets: bool = True)
             held["model"] = PieceModel(shared.value)
         model = held["model"]
         texts = [t or "" for t in batch.column("text").to_pylist()]
-        ids = model.encode(texts)
+        ids, aligned = model.encode(texts)
         decoded = model.decode(ids)
-        aligned = []
-        for t, i in zip(texts, ids, strict=True):
-            start, end = model.spans(t, i)
-            aligned.append(int((end > start).sum()))
-        return pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "n_tokens": pa.array([len(i) for i in ids], pa.int64()), "ids_sha256": [digest(i) for i in ids], "decoded_sha256": [hashlib.sha256(d.encode()).hexdigest() for d in decoded], "n_aligned": pa.array(aligned, pa.int64())})
+        covered = []
+        for t, i, a in zip(texts, ids, aligned, strict=True):
+            start, end = model.spans(len(t.encode()), i, a)
+            covered.append(int((end > start).sum()))
+        return pa.RecordBatch.from_pydict({"doc_id": batch.column("doc_id"), "n_tokens": pa.array([len(i) for i in ids], pa.int64()), "ids_sha256": [digest(i) for i in ids], "decoded_sha256": [hashlib.sha256(d.encode()).hexdigest() for d in decoded], "n_aligned": pa.array(covered, pa.int64())})
 
     return map_rows(docs.select("doc_id", "text"), run, schema_of(docs.select("doc_id"), "n_tokens long", "ids_sha256 string", "decoded_sha256 string", "n_aligned long"))

@@ -11,8 +11,13 @@ from . import decontaminate, langid, licenses, linededup, pieces, polyhash, shar
 from .common import fold, table
 from .oracles import ORACLES
 
-#: Where the vocabulary files of public tokenizers lie; a parameter of every use.
-TOKENIZERS = "/opt/tokenizers"
+
+
+def tokenizer(name: str) -> str:
+    """Where a vocabulary file of the public tokenizers lies."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
 
 
 def op1_hilbert_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -38,8 +43,8 @@ def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.read(spark, folder, columns=["page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
 
 
-def op5_pieces(spark: SparkSession, sf_dir: str, tokenizers: str = TOKENIZERS) -> DataFrame:
-    return pieces.round_trip(table(spark, sf_dir, "documents"), f"{tokenizers}/piece_bpe_32k.model")
+def op5_pieces(spark: SparkSession, sf_dir: str, model: str | None = None) -> DataFrame:
+    return pieces.round_trip(table(spark, sf_dir, "documents"), model or tokenizer("piece_bpe_32k.model"))
 
 
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
