@@ -79,6 +79,15 @@ def fold(doc_id: Column, folds: int) -> Column:
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % folds, F.lit(-1))
 
 
-def sample_ids(rows: DataFrame, id_col: str, most: int) -> DataFrame:
-    """At most `most` rows, the same for any order of the input: those whose id hashes lowest."""
-    return rows.orderBy(F.xxhash64(F.lit(17), F.col(id_col)), id_col).limit(most)
+def sample_rows(docs: DataFrame, known: DataFrame | None, columns: list[str], most: int) -> DataFrame:
+    """(doc_id, text, *columns) of at most `most` rows, the same for any order of the input: those whose ids hash lowest, and of
+    the rows of one id those whose texts do. Rows equal in all of these columns count once. known (doc_id, ...) adds its
+    columns to the documents that it names, and is itself cut to `most` rows in that way."""
+    low = lambda rows, *by: rows.orderBy(F.xxhash64(F.lit(17), "doc_id"), *by).limit(most)
+    rows = docs.withColumn("tk", F.xxhash64("text"))
+    if known is not None:
+        rows = rows.join(F.broadcast(low(known.distinct(), *known.columns)), "doc_id")
+    # At most `most` short rows are broadcast; the texts themselves are only filtered.
+    names = ["doc_id", "tk", *columns]
+    picked = F.broadcast(low(rows.select(*names).distinct(), *names))
+    return rows.select("doc_id", "text", "tk", *columns).join(picked, names, "left_semi").dropDuplicates(names).drop("tk")

@@ -3,7 +3,8 @@ one-versus-one linear support vector machines on hashed byte trigrams.
 
 Null texts and texts without a letter are `und` with score 0. Rows whose language is null are not learned from. With one
 family, or one language in a family, that step has no choice to make. Without rows to learn from, every text is `und`.
-Ties in votes go to the larger sum of margins, then to the first name. Repeated rows count each for itself."""
+Ties in votes go to the larger sum of margins, then to the first name. Repeated rows are predicted each for itself, and learned
+from once."""
 
 from __future__ import annotations
 
@@ -16,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_rows, sample_ids, schema_of, texts_of
+from .common import map_rows, sample_rows, schema_of, texts_of
 
 #: Bound of the labelled rows that a fit reads.
 FIT_ROWS = 4_000
@@ -106,15 +107,14 @@ def features(texts: list[bytes]) -> np.ndarray:
 
 
 def fit(docs: DataFrame, *, fit_rows: int = FIT_ROWS) -> LanguageModel:
-    """Learns from (text, lang) of at most fit_rows documents, those whose ids hash lowest."""
-    ids = sample_ids(docs.where("doc_id is not null and lang is not null").select("doc_id"), "doc_id", fit_rows)
+    """Learns from (text, lang) of at most fit_rows documents, those whose ids hash lowest (see sample_rows)."""
 
     def vectors(batch: pa.RecordBatch) -> pa.RecordBatch:
         x = features(texts_of(batch.column("text")))
         at = [np.flatnonzero(r) for r in x]
         return pa.RecordBatch.from_pydict({"lang": batch.column("lang"), "at": pa.array([a.astype(np.int16) for a in at], pa.list_(pa.int16())), "share": pa.array([r[a] for r, a in zip(x, at, strict=True)], pa.list_(pa.float32()))})
 
-    rows = docs.where("lang is not null and text is not null and text <> ''").select("doc_id", "text", "lang").join(F.broadcast(ids), "doc_id").select("lang", "text")
+    rows = sample_rows(docs.where("doc_id is not null and lang is not null and text <> ''").select("doc_id", "text", "lang"), None, ["lang"], fit_rows)
     got = map_rows(rows.select("text", "lang"), vectors, "lang string, at array<smallint>, share array<float>").toArrow()  # at most fit_rows sparse rows
     langs = np.array(got.column("lang").to_pylist(), object)
     x = np.zeros((len(langs), 1 << BITS), np.float32)

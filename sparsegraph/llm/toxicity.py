@@ -1,14 +1,16 @@
 """Toxic passages as maximum-scoring segments over token log-odds.
 
 Fit: words of labelled documents and their stems, counted once for each document, get log-odds between the two classes with an
-informative Dirichlet prior (the pooled counts); tokens whose z-score is large either way carry their log-odds, all other
-words the small negative score that makes both sides sum to one. Scan: every maximal scoring segment of a document in
+informative Dirichlet prior (the pooled counts); tokens whose z-score is large either way carry their log-odds. A word scores
+as the scan finds it, by itself or by its longest such stem; all other words carry the small negative score that makes both
+sides sum to one. Scan: every maximal scoring segment of a document in
 linear time. Calibration: a segment of score S in n words has expectation K n exp(-lambda S) by chance (extreme-value
-law; lambda solves E exp(lambda s) = 1 on clean words, K is fitted on clean documents). The bits of all segments beyond
+law; lambda solves E exp(lambda s) = 1 over the scores that the scan gives the words of clean documents, K is fitted on
+clean documents). The bits of all segments beyond
 chance add up; a logistic curve on the fitted rows turns them into the chance of label 1.
 
 Nulls and empty texts: no words, no segments, the base score. Labels other than 0 and 1, and null labels, are not
-learned from. Ties and repeated rows: each row for itself. Without labels of both classes, the model knows no words and
+learned from. Ties and repeated rows: each row is scored for itself, and learned from once. Without labels of both classes, the model knows no words and
 gives the base rate (0.5 without labels). Very long texts: whole, in bounded memory."""
 
 from __future__ import annotations
@@ -23,11 +25,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import bytewords as bw
-from .common import map_rows, sample_ids, schema_of, texts_of
+from .common import map_rows, materialise, sample_rows, schema_of, texts_of
 
-#: Bound of the labelled rows that a fit reads, and of the words that a model keeps.
+#: Bound of the labelled rows that a fit reads.
 FIT_ROWS = 20_000
-VOCABULARY = 5_000
 Z_MIN = 3.0
 #: The prior weighs this share of the pooled counts.
 PRIOR_SHARE = 0.1
@@ -126,6 +127,14 @@ class Lookup:
         return at, score[at]
 
 
+def lookup_of(shared) -> Lookup:
+    """The lookup of a broadcast model, made once in each worker."""
+    model = shared.value
+    if not hasattr(model, "_lookup"):
+        model._lookup = Lookup(model)
+    return model._lookup
+
+
 def document_segments(words: bw.Words, lookup: Lookup, drift: float) -> list[list[tuple[int, int, float]]]:
     """For each text, its maximal scoring segments as (first word, last word, score)."""
     at, score = lookup.find(words)
@@ -162,10 +171,11 @@ def word_counts(labelled: DataFrame) -> DataFrame:
     return map_rows(labelled.select("text", "toxic"), count, "word binary, toxic long, clean long").groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, fit_rows: int = FIT_ROWS, vocabulary: int = VOCABULARY, z_min: float = Z_MIN) -> ToxicityModel:
-    """Learns from the documents whose doc_id has a label; at most fit_rows of them, those whose ids hash lowest."""
-    known = sample_ids(labels.where("doc_id is not null and toxic in (0, 1)").select("doc_id", F.col("toxic").cast("int").alias("toxic")), "doc_id", fit_rows)
-    rows = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").select("text", "toxic")
+def fit(docs: DataFrame, labels: DataFrame, *, fit_rows: int = FIT_ROWS, z_min: float = Z_MIN) -> ToxicityModel:
+    """Learns from the documents whose doc_id has a label; at most fit_rows of them, those whose ids hash lowest (see
+    sample_rows). The words that a model keeps are bounded by those rows alone."""
+    known = labels.where("doc_id is not null and toxic in (0, 1)").select("doc_id", F.col("toxic").cast("int").alias("toxic"))
+    rows = materialise(sample_rows(docs.select("doc_id", "text"), known, ["toxic"], fit_rows).select("text", "toxic"), "labelled")
     counted = word_counts(rows).persist()
     try:
         whole = counted.where(~F.col("word").endswith(F.lit(b"*")))
@@ -177,17 +187,18 @@ def fit(docs: DataFrame, labels: DataFrame, *, fit_rows: int = FIT_ROWS, vocabul
         odds = lambda y, n: F.log((y + prior) / (n + weight - y - prior))
         delta = odds(F.col("toxic"), nt) - odds(F.col("clean"), nc)
         z = delta / F.sqrt(1 / (F.col("toxic") + prior) + 1 / (F.col("clean") + prior))
-        best = counted.select("word", "toxic", "clean", delta.alias("delta"), z.alias("z")).where(F.abs("z") >= z_min).orderBy(F.abs("z").desc(), "word").limit(vocabulary).collect()
+        best = counted.select("word", delta.alias("delta"), z.alias("z")).where(F.abs("z") >= z_min).select("word", "delta").collect()
     finally:
         counted.unpersist()
-    words = {bytes(r["word"]): float(r["delta"]) for r in best}
-    share = lambda r, c, n: (r[c] + PRIOR_SHARE * (r["toxic"] + r["clean"])) / (n + weight)
-    whole = [r for r in best if not bytes(r["word"]).endswith(b"*")]
-    pt, pc = sum(share(r, "toxic", nt) for r in whole), sum(share(r, "clean", nc) for r in whole)
-    drift = min(math.log((1 - min(pt, 0.99)) / (1 - min(pc, 0.99))), -1e-4)
-    background = [(share(r, "clean", nc), float(r["delta"])) for r in whole]
-    model = ToxicityModel(words, drift, lam=karlin_lambda([*background, (1 - pc, drift)]))
-    lookup_rows = evidence_rows(rows, model).collect()  # three numbers for each of at most fit_rows rows
+    model = ToxicityModel({bytes(r["word"]): float(r["delta"]) for r in sorted(best, key=lambda r: bytes(r["word"]))})
+    # One row for each class and known token.
+    seen = found_scores(rows, model).groupBy("toxic", "score").agg(F.sum("n").alias("n")).collect()
+    size = {k: max(sum(r["n"] for r in seen if r["toxic"] == k), 1) for k in (0, 1)}
+    known_share = {k: min(sum(r["n"] for r in seen if r["toxic"] == k and r["score"] is not None) / size[k], 0.99) for k in (0, 1)}
+    model.drift = min(math.log((1 - known_share[1]) / (1 - known_share[0])), -1e-4)
+    background = [(r["n"] / size[0], r["score"]) for r in seen if r["toxic"] == 0 and r["score"] is not None]
+    model.lam = karlin_lambda([*background, (1 - known_share[0], model.drift)])
+    lookup_rows = evidence_rows(rows, model).collect()  # a few numbers for each of at most fit_rows rows
     clean = [(r["n_words"], r["best"]) for r in lookup_rows if r["toxic"] == 0]
     model.k = len(clean) / max(sum(max(n, 1) * math.exp(-model.lam * s) for n, s in clean), 1e-9)
     x = np.array([evidence(model, r["n_words"], r["scores"]) for r in lookup_rows])
@@ -196,6 +207,24 @@ def fit(docs: DataFrame, labels: DataFrame, *, fit_rows: int = FIT_ROWS, vocabul
     return model
 
 
+def found_scores(rows: DataFrame, model: ToxicityModel) -> DataFrame:
+    """(toxic, score, n): how many words the scan gives each score (null: none), for each class and batch."""
+    shared = rows.sparkSession.sparkContext.broadcast(model)
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        words = bw.Words(texts_of(batch.column("text")), bw.alnum_class())
+        label = np.repeat(np.array(batch.column("toxic").to_pylist(), np.int64), words.count())
+        at, score = lookup_of(shared).find(words)
+        out: dict[tuple[int, float | None], int] = {}
+        for k in (0, 1):
+            out[k, None] = int((label == k).sum() - (label[at] == k).sum())
+            for v, n in zip(*np.unique(score[label[at] == k], return_counts=True), strict=True):
+                out[k, float(v)] = int(n)
+        return pa.RecordBatch.from_pydict({"toxic": pa.array([k for k, _ in out], pa.int32()), "score": pa.array([v for _, v in out], pa.float64()), "n": pa.array(list(out.values()), pa.int64())})
+
+    return map_rows(rows, run, "toxic int, score double, n long")
+
+
 def karlin_lambda(scores: list[tuple[float, float]]) -> float:
     """The positive root of sum p exp(lambda s) = 1."""
     f = lambda lam: sum(p * math.exp(min(lam * s, 600)) for p, s in scores) - 1
@@ -225,10 +254,11 @@ def logistic(x: np.ndarray, y: np.ndarray) -> tuple[float, float]:
 
 
 def evidence(model: ToxicityModel, n_words: int, scores: list[float]) -> float:
-    """Sum of the bits of all segments beyond chance; else those, not positive, of the best segment."""
+    """Sum of the bits of all segments beyond chance (its logarithm beyond 1, so that long texts do not outweigh all others
+    in the fit); else those, not positive, of the best segment."""
     bits = [model.bits(s, n_words) for s in scores]
     beyond = sum(b for b in bits if b > 0)
-    return min(beyond, 50.0) if beyond > 0 else model.bits(max(scores, default=0.0), n_words)
+    return (1 + math.log(beyond) if beyond > 1 else beyond) if beyond > 0 else model.bits(max(scores, default=0.0), n_words)
 
 
 def evidence_rows(rows: DataFrame, model: ToxicityModel) -> DataFrame:
@@ -237,8 +267,7 @@ def evidence_rows(rows: DataFrame, model: ToxicityModel) -> DataFrame:
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         model = shared.value
         words = bw.Words(texts_of(batch.column("text")), bw.alnum_class())
-        found = document_segments(words, Lookup(model), model.drift)
-        # Only segments that could count in some text: the largest hundred carry the sum.
+        found = document_segments(words, lookup_of(shared), model.drift)
         scores = [sorted((s for _, _, s in f), reverse=True) for f in found]
         return pa.RecordBatch.from_pydict({"toxic": batch.column("toxic").cast(pa.int32()), "n_words": pa.array(words.count(), pa.int64()), "best": pa.array([s[0] if s else 0.0 for s in scores], pa.float64()), "scores": pa.array(scores, pa.list_(pa.float64()))})
 
@@ -260,7 +289,7 @@ def score(docs: DataFrame, model: ToxicityModel, *, text_col: str = "text", keep
         words = bw.Words(texts_of(batch.column(text_col)), bw.alnum_class())
         counts = words.count().tolist()
         probability, passages = [], []
-        for k, found in enumerate(document_segments(words, Lookup(model), model.drift)):
+        for k, found in enumerate(document_segments(words, lookup_of(shared), model.drift)):
             probability.append(model.probability(evidence(model, counts[k], [s for _, _, s in found])))
             rows, low, origin = [], int(words.doc[k]), int(words.offsets[k])
             for a, b, s in found:

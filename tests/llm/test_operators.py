@@ -16,7 +16,7 @@ from sparsegraph.llm import bytewords, decontaminate, langid, licenses, linededu
 from .fixtures import DOCS, awkward, documents, empty
 
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
-MODEL = f"{queries.TOKENIZERS}/piece_bpe_32k.model"
+MODEL = queries.tokenizer("piece_bpe_32k.model")
 
 
 @pytest.fixture(scope="module")
@@ -77,6 +77,23 @@ def test_shards_of_awkward_tables(spark, docs, tmp_path):
     assert sharding.pruning(placed, ["lang"]).count() == 5
 
 
+@pytest.mark.parametrize("kind", ["decimal(12,2)", "boolean", "double", "timestamp", "string"])
+def test_one_dimension_follows_its_values(spark, kind):
+    rows = spark.range(2000).select(F.col("id").alias("doc_id"), (F.col("id") % 2 if kind == "boolean" else F.lpad("id", 5, "0") if kind == "string" else F.col("id")).cast(kind).alias("v"))
+    placed = sharding.hilbert_shards(rows, ["v"], shards=4)
+    ends = [(r["min_v"], r["max_v"]) for r in sharding.pruning(placed, ["v"]).orderBy("shard").collect()]
+    assert ends == sorted(ends) and [r["rows"] for r in sharding.pruning(placed, ["v"]).collect()] == [500] * 4
+    if kind != "boolean":  # a cell holds 1/256 of the rows
+        width = {int(r["doc_id"] / 500) - r["shard"] for r in placed.select("doc_id", "shard").collect()}
+        assert width <= {-1, 0, 1}
+
+
+def test_rows_of_one_id_keep_their_place(spark):
+    rows = spark.createDataFrame([(1, f"t{k}", None) for k in range(50)], "doc_id bigint, text string, v int")
+    place = lambda df: sorted((r["text"], r["shard"], r["slot"]) for r in sharding.hilbert_shards(df, ["v"], shards=3).collect())
+    assert place(rows) == place(rows.orderBy(F.rand(3)).repartition(3))
+
+
 def test_pruning_beats_arrival_order(spark):
     df = spark.range(4000).select(F.col("id").alias("doc_id"), F.pmod(F.xxhash64("id"), F.lit(97)).alias("a"), F.pmod(F.xxhash64(F.lit(1), "id"), F.lit(89)).alias("b"))
     stats = sharding.pruning(sharding.hilbert_shards(df, ["a", "b"], shards=16), ["a", "b"]).collect()
@@ -268,7 +285,9 @@ def test_spans_match_the_library_offsets():
     model = pieces.PieceModel(pieces.load(MODEL))
     for text in ["Hello  world", " a é日本 𝄞x", "tab\tnew\nline", "ß" * 5, "x"]:
         proto = model.library.encode(text, return_type="proto")
-        start, end = model.spans(text, model.encode([text])[0])
+        (ids,), (aligned,) = model.encode([text])
+        assert ids[1:-1] == [p.id for p in proto.pieces]
+        start, end = model.spans(len(text.encode()), ids, aligned)
         for p, a, b in zip(proto.pieces, start[1:-1], end[1:-1], strict=True):
             if b > a and not p.piece.startswith("<0x"):
                 assert (a, b) == (p.begin, p.end)
@@ -311,6 +330,30 @@ def test_language(spark):
     assert all(0 <= r["lang_score"] <= 1 for r in got.values())
 
 
+def test_language_query_holds_out(spark):
+    d = "/root/testdata/sf0.01"
+    truth = {r["doc_id"]: r["lang"] for r in spark.read.parquet(f"{d}/documents.parquet").select("doc_id", "lang").collect()}
+    got = queries.op6_language(spark, d).collect()
+    assert {r["doc_id"] for r in got} == set(truth)
+    held = [r for r in got if r["held_out"]]
+    assert all((zlib.crc32(str(r["doc_id"]).encode()) % 4 == 2) == r["held_out"] for r in got)
+    right = [truth[r["doc_id"]] == r["lang_pred"] for r in held if r["lang_pred"] != "und" and truth[r["doc_id"]]]
+    assert len(right) > 200 and sum(right) >= 0.98 * len(right)
+    assert all(0 <= r["score"] <= 1 for r in got)
+
+
+def test_fits_read_no_more_rows_than_their_bound(spark):
+    from sparsegraph.llm.common import sample_rows
+
+    many = spark.createDataFrame([(7, f"text number {k}", "en") for k in range(400)] + [(k, "same", "fr") for k in (1, 1, 1, 2)], "doc_id bigint, text string, lang string")
+    assert sample_rows(many, None, ["lang"], 50).count() == 50
+    assert sample_rows(many.where("doc_id <> 7"), None, ["lang"], 50).count() == 2
+    known = spark.createDataFrame([(7, 1), (1, 0), (7, 1)], "doc_id bigint, toxic int")
+    assert sample_rows(many.drop("lang"), known, ["toxic"], 50).count() == 50
+    first = [sorted(map(tuple, sample_rows(many.orderBy(F.rand(k)), None, ["lang"], 50).collect())) for k in (1, 2)]
+    assert first[0] == first[1]
+
+
 def test_language_without_choice(spark, docs):
     assert {r["lang_pred"] for r in langid.predict(docs, langid.LanguageModel()).collect()} == {"und"}
     one = langid.fit(docs.where("lang = 'en'"))
@@ -553,6 +596,14 @@ def test_decontamination_in_blocks_and_removal(spark, folder, docs):
     assert decontaminate.contamination(empty(spark), items).count() == 0
 
 
+def test_decontamination_with_items_without_id(spark, docs):
+    text = docs.where("doc_id = 1").first()["text"]
+    items = spark.createDataFrame([(None, text), (4, text), (4, text), (None, None)], "item_id bigint, text string")
+    for size in (1, decontaminate.BLOCK_BYTES):
+        got = collected(decontaminate.contamination(docs, items, block_bytes=size))[1]
+        assert (got["items"], got["n_items"], got["contaminated"]) == (["", "4"], 2, True)
+
+
 def test_words_against_regex():
     texts = ["Ab1-c é_ß ÀX", "", "x" * 300_000 + " yy " + "z" * 10, "a b", "日本 語"]
     w = bytewords.Words([t.encode() for t in texts], bytewords.alnum_class())
