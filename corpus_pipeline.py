@@ -1,7 +1,8 @@
 """From raw documents to token ids: five stages, each written as Parquet before the next one reads it.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that the one before it kept. All but the last return the
-columns of `documents`."""
+columns of `documents`, and any further ones that the table has. Null, empty and repeated rows are treated as the modules
+of the stages say; no stage needs an id. Empty tables give an empty result."""
 
 from __future__ import annotations
 
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 
 from sparsegraph.llm import decontaminate, linededup, neardup, pieces, toxicity
 from sparsegraph.llm.common import fold, materialise, table
-from sparsegraph.llm.queries import TOKENIZERS
+from sparsegraph.llm.queries import tokenizer
 
 #: A document with at least this chance of label 1 goes.
 TOXIC = 0.7
@@ -35,7 +36,7 @@ def drop_benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pieces.encode(docs, f"{TOKENIZERS}/piece_bpe_32k.model", keep=["doc_id", "lang", "source"])
+    return pieces.encode(docs, tokenizer("piece_bpe_32k.model"), keep=["doc_id", "lang", "source"])
 
 
 STAGES = [
