@@ -11,7 +11,7 @@ hashes, and links from the exact Jaccard index of the shingle sets alone. Nothin
    share a band is lost, however large the bucket.
 
 What could be similar: two sets at similarity s differ in at most (1 - s) / (1 + s) of their summed sizes. Every text
-carries a SKETCH_BITS parity sketch (the shingle hashes, each of which flips one bit); the bits in which two sketches differ
+carries a parity sketch of SKETCH_BITS (the shingle hashes, each of which flips one bit); the bits in which two sketches differ
 never outnumber the shingles in which the sets differ, so the filter drops no similar pair.
 
 A pair at similarity s shares no band with probability (1 - s**ROWS)**BANDS: 2.6e-5 at 0.8, 2e-7 at 0.85.
@@ -32,7 +32,7 @@ from pyspark.sql import Window as W
 from sparsegraph.operators.components import components
 
 from .common import map_rows, materialise, texts_of
-from .simhash import fold_bits, links, shingle_hashes
+from .simhash import block_masks, fold_bits, shingle_hashes
 
 BANDS, ROWS = 20, 4
 BUCKET = 32
@@ -41,6 +41,8 @@ SHINGLE = 5
 SKETCH_BITS = 1024
 #: The sketch folded to so many bits travels with the rows of the prefix join.
 FOLD_LONGS = 4
+#: So many shingles before each row of the prefix join travel with it, to tell pairs that an earlier row has made.
+BEFORE = 16
 #: Texts whose shingle sets are fetched by a broadcast of their names; more go through a shuffle.
 BROADCAST_TEXTS = 500_000
 LAST = (1 << 63) - 1
@@ -173,22 +175,29 @@ def similar(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
 
 
 def band_rows(texts: DataFrame) -> DataFrame:
-    """(t, key, node, texts, least) of the band buckets with more than one text."""
-    rows = texts.select("node", F.posexplode("keys").alias("t", "key"))
+    """(t, key, node, texts, least) of the buckets with more than one text: one for each band, and one for each choice of
+    pigeonhole blocks of the fingerprint, so that texts at most 2 bits apart share one too."""
+    blocks = [F.col("fp").bitwiseAND(F.lit(m)) for m in block_masks(2)]
+    rows = texts.select("node", F.posexplode(F.concat("keys", F.array(*blocks))).alias("t", "key"))
     sizes = rows.groupBy("t", "key").agg(F.count("*").alias("texts"), F.min("node").alias("least")).where("texts > 1")
     return materialise(rows.join(sizes, ["t", "key"]), "bands")
 
 
-def block_pairs(texts: DataFrame) -> DataFrame:
-    """(src, dst) that connect the texts whose fingerprints are at most 2 bits apart."""
-    by_fp = texts.groupBy("fp").agg(F.min("node").alias("rep"))
-    same = texts.select("fp", F.col("node").alias("dst")).join(by_fp.withColumnRenamed("rep", "src"), "fp").where("src < dst").select("src", "dst")
-    return same.unionByName(links(by_fp, 2).select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")))
+def roots(up: DataFrame) -> DataFrame:
+    """(node, component) of a forest (src, dst) in which every dst has one src, by doubling: each round every text takes the
+    place of its leader's leader, so the rounds are the logarithm of the longest chain."""
+    at = materialise(up.select(F.col("dst").alias("node"), F.col("src").alias("component")), "roots")
+    while True:
+        above = at.select(F.col("node").alias("component"), F.col("component").alias("top"))
+        at = materialise(at.join(above, "component", "left").select("node", F.coalesce("top", "component").alias("component"), F.col("top").isNotNull().alias("moved")), "roots")
+        if at.where("moved").isEmpty():
+            return at.select("node", "component")
+        at = at.select("node", "component")
 
 
 def open_rows(bands: DataFrame, found: DataFrame) -> DataFrame:
     """(t, key, node, texts, component) of the buckets that the components leave in more than one part."""
-    rows = bands.join(found.withColumnRenamed("id", "node"), "node", "left").withColumn("component", F.coalesce("component", "node"))
+    rows = bands.join(found, "node", "left").withColumn("component", F.coalesce("component", "node"))
     parts = rows.groupBy("t", "key").agg(F.min("component").alias("a"), F.max("component").alias("b")).where("a <> b").select("t", "key")
     return materialise(rows.join(parts, ["t", "key"], "left_semi").select("t", "key", "node", "texts", "component"), "open")
 
@@ -225,21 +234,27 @@ def prefix_pairs(sets: DataFrame, texts: DataFrame, similarity: float) -> DataFr
         flat = np.concatenate(each) if each else np.zeros(0, np.int64)
         return pa.RecordBatch.from_arrays([batch.column("node").take(pa.array(np.repeat(np.arange(len(n)), n))), pa.array(np.repeat(n, n)), pa.array(flat)], names=["node", "n", "shingle"])
 
-    wanted = texts.select("node").distinct()
-    rows = materialise(map_rows(sets.join(wanted, "node", "left_semi").dropDuplicates(["node"]).select("shingles", "node"), run, "node long, n long, shingle long"), "shingles")
-    held = rows.groupBy("shingle").agg(F.count("*").alias("texts")).where("texts > 1")
-    # A shingle that one text alone holds comes first in the order, matches nothing, and need not travel.
-    shared = rows.join(held, "shingle")
-    mine = W.partitionBy("node")
-    rank = F.col("n") - F.count("*").over(mine) + F.row_number().over(mine.orderBy("texts", "shingle"))
-    ranked = shared.select("node", "n", "shingle", rank.alias("rank"), (F.col("n") - F.count("*").over(mine)).alias("own"))
+    sets = sets.join(texts.select("node").distinct(), "node", "left_semi").dropDuplicates(["node"]).select("shingles", "node")
+    rows = materialise(map_rows(sets, run, "node long, n long, shingle long"), "shingles")
+    # A shingle that one text alone holds comes first in the order, matches nothing, and is only counted.
+    held = materialise(rows.groupBy("shingle").agg(F.count("*").alias("texts"), F.min("node").alias("node")), "rarity")
+    own = held.where("texts = 1").groupBy("node").agg(F.count("*").alias("own"))
+    place = rows.groupBy("node").agg(F.first("n").alias("n")).join(own, "node", "left").select("node", "n", F.coalesce("own", F.lit(0)).alias("own"), (F.col("n") - F.ceil(F.col("n") * similarity - 1e-9) + 1).alias("prefix"))
+    rare = held.where((F.col("texts") > 1) & (F.col("texts") <= BUCKET)).select("shingle", "texts")
+    low = materialise(rows.select("node", "shingle").join(rare, "shingle"), "rare")
+    place = materialise(place.join(low.groupBy("node").agg(F.count("*").alias("low")), "node", "left").withColumn("low", F.coalesce("low", F.lit(0))), "places")
+    # Frequent shingles matter only to texts whose own and rare ones do not fill the prefix.
+    short = place.where("own + low < prefix").select("node")
+    common = map_rows(sets.join(short, "node", "left_semi"), run, "node long, n long, shingle long").select("node", "shingle").join(held.where(F.col("texts") > BUCKET).select("shingle", "texts"), "shingle")
+    mine = W.partitionBy("node").orderBy("texts", "shingle")
+    ranked = low.unionByName(common).join(place, "node").withColumns({"rank": F.col("own") + F.row_number().over(mine), "before": F.collect_list("shingle").over(mine.rowsBetween(-BEFORE, -1))})
     folded = [folded_sketch(k) for k in range(FOLD_LONGS)]
-    first = ranked.where(F.col("rank") <= F.col("n") - F.ceil(F.col("n") * similarity - 1e-9) + 1)
+    first = ranked.where(F.col("rank") <= F.col("prefix")).select("node", "n", "shingle", "rank", "own", "before")
     first = materialise(first.join(texts.select("node", "component", *folded), "node"), "prefixes")
     sizes = first.groupBy("shingle", "component").agg(F.count("*").alias("k"))
     main = sizes.groupBy("shingle").agg(F.max_by("component", F.struct("k", "component")).alias("main"), F.count("*").alias("parts")).where("parts > 1").select("shingle", "main")
     split = materialise(first.join(main, "shingle"), "split")
-    x = split.where("component <> main").select("shingle", *[F.col(c).alias(f"x_{c}") for c in ("node", "n", "rank", "own", "component", *(f"s{k}" for k in range(FOLD_LONGS)))])
+    x = split.where("component <> main").select("shingle", *[F.col(c).alias(f"x_{c}") for c in ("node", "n", "rank", "own", "before", "component", *(f"s{k}" for k in range(FOLD_LONGS)))])
     apart = (F.col("x_n") + F.col("n")) * ((1 - similarity) / (1 + similarity)) + 1e-9
     # A pair shares at most the shingles from its first common one on; that row passes if the pair is similar.
     at_most = F.least(F.col("x_n") - F.col("x_rank"), F.col("n") - F.col("rank")) + 1
@@ -247,42 +262,43 @@ def prefix_pairs(sets: DataFrame, texts: DataFrame, similarity: float) -> DataFr
     fits = (F.col("x_n") + F.col("n") - 2 * at_most <= apart) & (F.col("x_own") + F.col("own") <= apart) & (bits <= apart)
     # Where both are strangers, the pair would come twice.
     once = (F.col("component") == F.col("main")) | (F.col("x_node") < F.col("node"))
-    both = x.join(split, "shingle").where((F.col("x_component") != F.col("component")) & once & fits)
+    # A pair that shares one of the shingles just before leaves the join there.
+    fresh = ~F.arrays_overlap("x_before", "before")
+    both = x.join(split, "shingle").where((F.col("x_component") != F.col("component")) & once & fits & fresh)
     return both.select(F.least("x_node", "node").alias("src"), F.greatest("x_node", "node").alias("dst")).distinct()
 
 
-def text_links(docs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
-    """(src, dst): links of similar texts that connect every group."""
+def text_groups(docs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
+    """(node, component) of the texts that a link ties to another one."""
     bands = band_rows(texts)
-    blocks = materialise(block_pairs(texts), "blocks")
-    leaders = bands.where("node > least").select(F.col("least").alias("src"), F.col("node").alias("dst"))
-    first = filtered(leaders.unionByName(blocks).distinct(), texts, similarity).groupBy("dst").agg(F.min("src").alias("src")).select("src", "dst")
     names = texts.select("node", "id", "tk")
-    ends = lambda pairs: pairs.select(F.col("src").alias("node")).union(pairs.select("dst")).distinct()
-    first = materialise(first, "leaders")
-    linked = materialise(similar(first, shingle_sets(docs, names.join(ends(first), "node", "left_semi")), similarity).distinct(), "links")
-    found = materialise(components(linked), "found")
+    wanted = lambda pairs: names.join(pairs.select(F.col("src").alias("node")).union(pairs.select("dst")).distinct(), "node", "left_semi")
+    leaders = bands.where("node > least").select(F.col("least").alias("src"), F.col("node").alias("dst")).distinct()
+    first = materialise(filtered(leaders, texts, similarity).groupBy("dst").agg(F.min("src").alias("src")).select("src", "dst"), "leaders")
+    found = roots(similar(first, shingle_sets(docs, wanted(first)), similarity).distinct())
     left = open_rows(bands, found)
     if left.isEmpty():
-        return linked
+        return found
     small, large = left.where(F.col("texts") <= BUCKET), left.where(F.col("texts") > BUCKET)
-    cross = blocks.join(found.withColumnRenamed("id", "src"), "src", "left").withColumn("ca", F.coalesce("component", "src")).select("src", "dst", "ca")
-    cross = cross.join(found.withColumnRenamed("id", "dst"), "dst", "left").where(F.col("ca") != F.coalesce("component", "dst")).select("src", "dst")
-    second = materialise(filtered(across(small).unionByName(cross).distinct().join(first, ["src", "dst"], "left_anti"), texts, similarity), "second")
+    pairs = materialise(filtered(across(small).join(first, ["src", "dst"], "left_anti"), texts, similarity), "across")
     rest = materialise(large.select("node", "component").distinct().join(texts.select("node", "sketch"), "node"), "undecided")
-    sets = shingle_sets(docs, names.join(ends(second).union(rest.select("node")).distinct(), "node", "left_semi"))
+    sets = shingle_sets(docs, wanted(pairs.unionByName(rest.select(F.col("node").alias("src"), F.col("node").alias("dst")))))
     if not rest.isEmpty():
-        third = filtered(prefix_pairs(sets, rest, similarity), texts, similarity)
-        second = materialise(second.unionByName(third).distinct(), "third")
-    return linked.unionByName(similar(second, sets, similarity).distinct())
+        pairs = materialise(pairs.unionByName(filtered(prefix_pairs(sets, rest, similarity), texts, similarity)).distinct(), "pairs")
+    # Links between components make components of components.
+    part = left.select("node", "component").distinct()
+    between = similar(pairs, sets, similarity).join(part.toDF("src", "a"), "src").join(part.toDF("dst", "b"), "dst")
+    merged = components(between.select("a", "b").distinct(), "a", "b").select(F.col("id").alias("component"), F.col("component").alias("merged"))
+    every = found.unionByName(part).distinct()
+    return every.join(merged, "component", "left").select("node", F.coalesce("merged", "component").alias("component"))
 
 
 def grouped(docs: DataFrame, similarity: float) -> tuple[DataFrame, DataFrame]:
     """The marks of all rows, and (node, whole, fp, id, tk, component) of all texts."""
     marked = materialise(marks(docs), "marks")
     texts = distinct_texts(marked)
-    found = components(text_links(docs, texts, similarity))
-    texts = texts.select("node", "whole", "fp", "id", "tk").join(found.withColumnRenamed("id", "node"), "node", "left")
+    found = text_groups(docs, texts, similarity)
+    texts = texts.select("node", "whole", "fp", "id", "tk").join(found, "node", "left")
     return marked, materialise(texts.withColumn("component", F.coalesce("component", "node")), "grouped")
 
 
