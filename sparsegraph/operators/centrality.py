@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import count
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -156,13 +157,13 @@ def pagerank(a: DataFrame, *, jump: float = 0.15, dangling: str = "uniform", tol
     return state.select("id", (F.col("x") / F.lit(total or 1.0)).alias("score")), report
 
 
-def bfs_levels(a: DataFrame, sources: DataFrame, max_depth: int = 1000) -> DataFrame:
+def bfs_levels(a: DataFrame, sources: DataFrame) -> DataFrame:
     """(source, id, level, paths): levels and numbers of shortest paths from every source at once."""
     edges = materialise(a.select("row", "col").distinct(), "edges")
     front = sources.select(F.col("id").alias("source"), "id", F.lit(0).alias("level"), F.lit(1.0).alias("paths"))
     seen = materialise(front, "bfs")
     front = seen
-    for depth in range(1, max_depth + 1):
+    for depth in count(1):
         reached = front.join(edges.withColumnRenamed("row", "id"), "id").groupBy("source", F.col("col").alias("id")).agg(F.sum("paths").alias("paths"))
         front = materialise(reached.join(seen.select("source", "id"), ["source", "id"], "left_anti").select("source", "id", F.lit(depth).alias("level"), "paths"), "front")
         if front.isEmpty():

@@ -137,7 +137,8 @@ def colours(edges: DataFrame, rounds: int, vertices: DataFrame | None = None) ->
     c = ids.withColumn("colour", F.sha2(F.lit("v"), 256))
     for _ in range(rounds):
         around = n.join(c.select(F.col("id").alias("col"), F.col("colour").alias("x")), "col").groupBy(F.col("row").alias("id")).agg(F.array_join(F.sort_array(F.collect_list("x")), ",").alias("near"))
-        c = c.join(around, "id", "left").select("id", F.sha2(F.concat_ws("|", "colour", F.coalesce("near", F.lit(""))), 256).alias("colour"))
+        # Written each round: the next one reads it twice.
+        c = materialise(c.join(around, "id", "left").select("id", F.sha2(F.concat_ws("|", "colour", F.coalesce("near", F.lit(""))), 256).alias("colour")), "colours")
     return c
 
 
@@ -157,27 +158,38 @@ def isomorphic(a: DataFrame, b: DataFrame, *, rounds: int = 8, exact_limit: int
 
 def _map_vertices(ca: dict, ea: set, cb: dict, eb: set) -> bool:
     """Backtracking over vertices by the size of their colour class, within size-guarded graphs."""
-    near = lambda e: {v: {x for p in e for x in p if v in p and x != v} for p in e for v in p}
+
+    def near(edges: set) -> dict:
+        out: dict = {}
+        for u, v in edges:
+            out.setdefault(u, set()).add(v)
+            out.setdefault(v, set()).add(u)
+        return out
+
     na, nb = near(ea), near(eb)
     by_colour: dict = {}
     for v, c in cb.items():
         by_colour.setdefault(c, []).append(v)
     order = sorted(ca, key=lambda v: (len(by_colour[ca[v]]), v))
     chosen: dict = {}
-
-    def extend(k: int) -> bool:
-        if k == len(order):
+    back: dict = {}
+    tries = [iter(by_colour[ca[order[0]]])] if order else []
+    # An explicit stack: the search is as deep as the graph has vertices.
+    while tries:
+        v = order[len(tries) - 1]
+        if v in chosen:
+            del back[chosen.pop(v)]
+        # Neighbours that are mapped must be neighbours of the image, and as many of them.
+        done = {chosen[x] for x in na.get(v, ()) if x in chosen}
+        fit = next((w for w in tries[-1] if w not in back and done == {y for y in nb.get(w, ()) if y in back}), None)
+        if fit is None:
+            tries.pop()
+            continue
+        chosen[v], back[fit] = fit, v
+        if len(tries) == len(order):
             return True
-        v = order[k]
-        for w in by_colour[ca[v]]:
-            if w not in chosen.values() and all((x in na[v]) == (y in nb[w]) for x, y in chosen.items()):
-                chosen[v] = w
-                if extend(k + 1):
-                    return True
-                del chosen[v]
-        return False
-
-    return extend(0)
+        tries.append(iter(by_colour[ca[order[len(tries)]]]))
+    return not order
 
 
 def neighbor_matching(a: DataFrame, b: DataFrame, *, iters: int = 6, limit: int = 1_000) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -10,13 +12,14 @@ from sparsegraph.plans.state import materialise
 DFS_LIMIT = 1_000_000
 
 
-def bfs(a: DataFrame, sources: DataFrame, *, max_depth: int = 1000) -> DataFrame:
+def bfs(a: DataFrame, sources: DataFrame, *, max_depth: int | None = None) -> DataFrame:
     """(source, id, level, parent): shortest hop counts from each source; parent is the smallest predecessor on a shortest
-    path (null at the source). The visited set is an anti-join mask."""
+    path (null at the source). The visited set is an anti-join mask. The search ends when nothing new is reached, or with
+    max_depth at that level."""
     edges = materialise(a.select("row", "col").distinct(), "edges")
     seen = materialise(sources.select(F.col("id").alias("source"), "id", F.lit(0).alias("level"), F.lit(None).cast(dict(sources.dtypes)["id"]).alias("parent")), "bfs")
     front = seen
-    for depth in range(1, max_depth + 1):
+    for depth in count(1) if max_depth is None else range(1, max_depth + 1):
         reached = front.select("source", F.col("id").alias("row")).join(edges, "row").groupBy("source", F.col("col").alias("id")).agg(F.min("row").alias("parent"))
         front = materialise(reached.join(seen.select("source", "id"), ["source", "id"], "left_anti").select("source", "id", F.lit(depth).alias("level"), "parent"), "front")
         if front.isEmpty():

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -32,16 +34,27 @@ def overlap_cells(inc: DataFrame, adj: DataFrame) -> DataFrame:
 
 def edge_support(edges: DataFrame, method: str = "masked") -> DataFrame:
     """(edge_id, src, dst, support): triangles on each edge, 0 included. "incidence" multiplies incidence and adjacency
-    and counts the cells equal to 2; "masked" forms triangles alone, from the end of lower degree."""
+    and counts the cells equal to 2; "masked" forms triangles alone, from the end of lower degree. Loops and second copies
+    of an edge are dropped first (see canonical)."""
+    return _support(canonical(edges), method)
+
+
+def canonical(edges: DataFrame) -> DataFrame:
+    """(edge_id, src, dst), src < dst: without loops and null ends, of edges between the same vertices that of the least id."""
+    ends = edges.where(F.col("src") != F.col("dst")).select("edge_id", F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"))
+    return ends.groupBy("src", "dst").agg(F.min("edge_id").alias("edge_id")).select("edge_id", "src", "dst")
+
+
+def _support(edges: DataFrame, method: str) -> DataFrame:
     if method == "incidence":
         inc = incidence(edges)
         twos = apply(overlap_cells(inc, inc_to_adj(inc)), lambda v: F.when(v == 2, 1).otherwise(0))
-        count = reduce_rows(twos, lambda c: F.count(c)).select(F.col("id").alias("edge_id"), F.col("val").alias("support"))
+        held = reduce_rows(twos, lambda c: F.count(c)).select(F.col("id").alias("edge_id"), F.col("val").alias("support"))
     elif method == "masked":
-        count = triangle_edges(triangles(edges)).groupBy("edge_id").agg(F.count("*").alias("support"))
+        held = triangle_edges(triangles(edges)).groupBy("edge_id").agg(F.count("*").alias("support"))
     else:
         raise ValueError(method)
-    return edges.select("edge_id", "src", "dst").join(count, "edge_id", "left").select("edge_id", "src", "dst", F.coalesce("support", F.lit(0)).cast("bigint").alias("support"))
+    return edges.select("edge_id", "src", "dst").join(held, "edge_id", "left").select("edge_id", "src", "dst", F.coalesce("support", F.lit(0)).cast("bigint").alias("support"))
 
 
 def triangles(edges: DataFrame) -> DataFrame:
@@ -62,19 +75,20 @@ def triangle_edges(tri: DataFrame) -> DataFrame:
     return tri.select(F.explode(F.array("e1", "e2", "e3")).alias("edge_id"))
 
 
-def k_truss(edges: DataFrame, k: int, *, method: str = "masked", update: str | None = None, max_rounds: int = 10_000) -> tuple[DataFrame, IterationReport]:
+def k_truss(edges: DataFrame, k: int, *, method: str = "masked", update: str | None = None, max_rounds: int | None = None) -> tuple[DataFrame, IterationReport]:
     """(edge_id, src, dst, support) of the k-truss: weak edges (support below k - 2) go, all of a round together, until
     there are none.
 
     method/update: "masked" keeps the list of triangles and drops those that lose an edge ("delta"), or finds it anew
     ("recompute"); "incidence" keeps the cells of incidence times adjacency and subtracts what removed edges contributed
     ("incremental"), or multiplies anew ("recompute"); "ordered" removes the smallest support class first; "sequential"
-    removes one edge at a time (at most 10,000 edges). All give the same edges."""
+    removes one edge at a time (at most 10,000 edges). All give the same edges. Peeling ends when nothing is weak; more than
+    max_rounds rounds are an error, never a graph that is no k-truss. Edges are made canonical first."""
     report = IterationReport()
-    edges = materialise(edges.select("edge_id", "src", "dst"), "edges")
+    edges = materialise(canonical(edges), "edges")
     if k <= 2:
         report.status, report.converged = "converged", True
-        return edge_support(edges, "incidence" if method == "incidence" else "masked"), report
+        return _support(edges, "incidence" if method == "incidence" else "masked"), report
     if method == "incidence":
         return _peel_incidence(edges, k, update or "incremental", report, max_rounds)
     if method == "sequential" and edges.count() > 10_000:
@@ -84,14 +98,22 @@ def k_truss(edges: DataFrame, k: int, *, method: str = "masked", update: str | N
     return out, report
 
 
+def _rounds(most: int | None):
+    """0, 1, ...; an error beyond `most` rounds."""
+    for k in count():
+        if most is not None and k > most:
+            raise RuntimeError(f"peeling did not end in {most} rounds")
+        yield k
+
+
 def _counted(edges: DataFrame, tri: DataFrame) -> DataFrame:
-    count = triangle_edges(tri).groupBy("edge_id").agg(F.count("*").alias("support"))
-    return edges.select("edge_id", "src", "dst").join(count, "edge_id", "left").select("edge_id", "src", "dst", F.coalesce("support", F.lit(0)).cast("bigint").alias("support"))
+    held = triangle_edges(tri).groupBy("edge_id").agg(F.count("*").alias("support"))
+    return edges.select("edge_id", "src", "dst").join(held, "edge_id", "left").select("edge_id", "src", "dst", F.coalesce("support", F.lit(0)).cast("bigint").alias("support"))
 
 
-def _peel(edges: DataFrame, tri: DataFrame, k: int, method: str, update: str, report: IterationReport, max_rounds: int) -> tuple[DataFrame, DataFrame]:
+def _peel(edges: DataFrame, tri: DataFrame, k: int, method: str, update: str, report: IterationReport, max_rounds: int | None) -> tuple[DataFrame, DataFrame]:
     state = materialise(_counted(edges, tri), "support")
-    for _ in range(max_rounds):
+    for _ in _rounds(max_rounds):
         weak = F.col("support") < k - 2
         seen = state.agg(F.count_if(weak).alias("weak"), F.count("*").alias("edges"), F.min("support").alias("least")).first()
         report.history.append({"weak": seen["weak"], "edges": seen["edges"]})
@@ -114,13 +136,13 @@ def _peel(edges: DataFrame, tri: DataFrame, k: int, method: str, update: str, re
                 tri = tri.join(gone.withColumnRenamed("edge_id", e), e, "left_anti")
             tri = materialise(tri.select("e1", "e2", "e3"), "triangles")
         state = materialise(_counted(left, tri), "support")
-    return state, tri
+    raise AssertionError("unreachable")
 
 
-def _peel_incidence(edges: DataFrame, k: int, update: str, report: IterationReport, max_rounds: int) -> tuple[DataFrame, IterationReport]:
+def _peel_incidence(edges: DataFrame, k: int, update: str, report: IterationReport, max_rounds: int | None) -> tuple[DataFrame, IterationReport]:
     inc = materialise(incidence(edges), "incidence")
     cells = materialise(overlap_cells(inc, inc_to_adj(inc)), "cells")
-    for _ in range(max_rounds):
+    for _ in _rounds(max_rounds):
         two = cells.groupBy(F.col("row").alias("edge_id")).agg(F.count_if(F.col("val") == 2).alias("support"))
         state = materialise(edges.join(inc.select(F.col("row").alias("edge_id")).distinct(), "edge_id", "left_semi").join(two, "edge_id", "left").select("edge_id", "src", "dst", F.coalesce("support", F.lit(0)).cast("bigint").alias("support")), "support")
         weak = F.col("support") < k - 2
@@ -140,18 +162,18 @@ def _peel_incidence(edges: DataFrame, k: int, update: str, report: IterationRepo
         else:
             cells = overlap_cells(kept, inc_to_adj(kept))
         cells, inc = materialise(cells, "cells"), kept
-    return state, report
+    raise AssertionError("unreachable")
 
 
-def truss_decomposition(edges: DataFrame, *, k_start: int = 3, max_k: int = 10_000) -> DataFrame:
+def truss_decomposition(edges: DataFrame, *, k_start: int = 3) -> DataFrame:
     """(edge_id, src, dst, trussness): the largest k whose k-truss holds the edge; 2 for edges in no 3-truss. Each k starts
     from the supports and triangles that the last one left."""
-    edges = materialise(edges.select("edge_id", "src", "dst"), "edges")
+    edges = materialise(canonical(edges), "edges")
     tri = materialise(triangles(edges), "triangles")
     state, k = edges, k_start
     out = None
-    while k < max_k:
-        left, tri = _peel(state, tri, k, "masked", "delta", IterationReport(), 10_000)
+    while True:
+        left, tri = _peel(state, tri, k, "masked", "delta", IterationReport(), None)
         fallen = state.select("edge_id", "src", "dst").join(left.select("edge_id"), "edge_id", "left_anti").withColumn("trussness", F.lit(k - 1))
         out = fallen if out is None else out.unionByName(fallen)
         if left.isEmpty():

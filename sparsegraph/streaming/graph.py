@@ -95,18 +95,34 @@ def interval_pairs(left: DataFrame, right: DataFrame, *, within: str = "10 minut
 class MaintainedGraph:
     """An undirected simple graph with edge supports, kept in Parquet by micro-batches (foreachBatch).
 
-    A batch adds edges; only triangles through new edges are formed. Every state is a new folder named by the batch, so
-    a batch that runs twice gives the same state."""
+    A batch adds edges; only triangles through new edges are formed. Every state is a folder named by its batch, written under
+    another name and then renamed. A batch starts from the state of the one before it, whoever wrote it, so a batch that
+    runs twice changes nothing and a new instance goes on where the last one ended."""
+
+    SCHEMA = "src bigint, dst bigint, support bigint"
 
     def __init__(self, spark: SparkSession, path: str):
-        self.spark, self.path, self.at = spark, path, None
+        self.spark, self.path = spark, path
+
+    def _folder(self, name: str):
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}" if name else self.path)
+        return path.getFileSystem(self.spark._jsc.hadoopConfiguration()), path
 
-    def state(self) -> DataFrame:
-        schema = "src bigint, dst bigint, support bigint"
-        return self.spark.read.schema(schema).parquet(self.at) if self.at else self.spark.createDataFrame([], schema)
+    def batches(self) -> list[int]:
+        """Numbers of the batches that are written, in order."""
+        fs, root = self._folder("")
+        names = [f.getPath().getName() for f in fs.listStatus(root)] if fs.exists(root) else []
+        return sorted(int(n.removeprefix("batch-")) for n in names if n.startswith("batch-"))
+
+    def state(self, before: int | None = None) -> DataFrame:
+        """(src, dst, support) after the last batch, or after the last one below `before`."""
+        held = [b for b in self.batches() if before is None or b < before]
+        return self.spark.read.schema(self.SCHEMA).parquet(f"{self.path}/batch-{held[-1]:08d}") if held else self.spark.createDataFrame([], self.SCHEMA)
 
     def apply(self, batch: DataFrame, batch_id: int) -> None:
-        old = self.state()
+        if batch_id in self.batches():
+            return
+        old = self.state(batch_id)
         new = batch.where("src <> dst").select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct().join(old.select("src", "dst"), ["src", "dst"], "left_anti")
         every = old.select("src", "dst", F.lit(0).alias("n")).unionByName(new.withColumn("n", F.lit(1)))
         both = every.select(F.col("src").alias("a"), F.col("dst").alias("b"), "n").unionByName(every.select(F.col("dst").alias("a"), F.col("src").alias("b"), "n"))
@@ -116,6 +132,7 @@ class MaintainedGraph:
         tri = closed.select(F.array_sort(F.array("a", "src", "dst")).alias("t")).distinct().select(F.col("t")[0].alias("x"), F.col("t")[1].alias("y"), F.col("t")[2].alias("z"))
         gain = tri.select(F.explode(F.array(F.struct(F.col("x").alias("src"), F.col("y").alias("dst")), F.struct(F.col("y").alias("src"), F.col("z").alias("dst")), F.struct(F.col("x").alias("src"), F.col("z").alias("dst")))).alias("e")).groupBy("e.src", "e.dst").agg(F.count("*").alias("gain"))
         out = old.unionByName(new.withColumn("support", F.lit(0).cast("bigint"))).join(gain, ["src", "dst"], "left").select("src", "dst", (F.col("support") + F.coalesce("gain", F.lit(0))).alias("support"))
-        target = f"{self.path}/batch-{batch_id:08d}"
-        out.write.mode("overwrite").parquet(target)
-        self.at = target
+        out.write.mode("overwrite").parquet(f"{self.path}/_next-{batch_id:08d}")
+        fs, written = self._folder(f"_next-{batch_id:08d}")
+        if not fs.rename(written, self._folder(f"batch-{batch_id:08d}")[1]):
+            raise OSError(f"batch {batch_id} could not be renamed")

@@ -377,3 +377,30 @@ def test_betweenness_of_the_whole_table(spark):
         near.setdefault(r["dst"], set()).add(r["src"])
     assert set(got) == set(near)
     assert all((got[v] > 0) == any(y not in near[x] for x, y in itertools.combinations(near[v], 2)) for v in near)
+
+
+def test_isomorphism_search_is_deeper_than_the_stack():
+    n = 3000
+    ring = {(i, (i + 1) % n) for i in range(n)}
+    moved = {((7 * u + 5) % n, (7 * v + 5) % n) for u, v in ring}
+    same = dict.fromkeys(range(n), "c")
+    # A colour for each place keeps the search straight; it is as deep as the graph.
+    assert similarity._map_vertices({i: str(i) for i in range(n)}, ring, {(7 * i + 5) % n: str(i) for i in range(n)}, moved)
+    assert not similarity._map_vertices({i: same[i] for i in range(6)}, {(i, (i + 1) % 6) for i in range(6)}, {i: "c" for i in range(6)}, {(0, 1), (1, 2), (0, 2), (3, 4), (4, 5), (3, 5)})
+
+
+def test_truss_of_doubled_edges_and_loops(spark):
+    e = spark.createDataFrame([(1, 1, 2), (2, 2, 3), (3, 1, 4), (4, 3, 4), (5, 3, 1), (6, 2, 5), (7, 2, 5), (8, 3, 3), (9, 2, 1)], "edge_id bigint, src bigint, dst bigint")
+    for method in ("incidence", "masked"):
+        assert sorted((r["edge_id"], r["support"]) for r in truss.edge_support(e, method).collect()) == [(1, 1), (2, 1), (3, 1), (4, 1), (5, 2), (6, 0)]
+    assert sorted(r["edge_id"] for r in truss.k_truss(e, 3)[0].collect()) == [1, 2, 3, 4, 5]
+    with pytest.raises(RuntimeError):
+        truss.k_truss(e, 3, max_rounds=0)
+
+
+def test_searches_have_no_hidden_depth(spark):
+    a = spark.createDataFrame([(i, i + 1, 1) for i in range(12)], "row bigint, col bigint, val int")
+    start = spark.createDataFrame([(0,)], "id bigint")
+    assert traversal.bfs(a, start).agg({"level": "max"}).first()[0] == 12
+    assert traversal.bfs(a, start, max_depth=3).agg({"level": "max"}).first()[0] == 3
+    assert traversal.dfs(a, 0).count() == 13

@@ -122,7 +122,11 @@ def test_maintained_graph(spark, tmp_path):
     g = stream.MaintainedGraph(spark, str(tmp_path / "graph"))
     for k, p in enumerate(parts):
         g.apply(p, k)
+        if k:  # a batch that runs again, and an instance that starts anew
+            g.apply(p, k)
+            g = stream.MaintainedGraph(spark, str(tmp_path / "graph"))
     want = truss.edge_support(truss.with_ids(S.simple_graph(edges)))
+    assert g.batches() == [0, 1, 2]
     assert rows(g.state().select("src", "dst", "support")) == rows(want.select("src", "dst", "support"))
 
 
