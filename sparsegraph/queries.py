@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
-from sparsegraph.functions.semiring import MAX_TIMES, MIN_PLUS, OR_AND, PLUS_PAIR, PLUS_TIMES
+from sparsegraph.functions.semiring import MAX_MIN, MAX_PLUS, MAX_TIMES, MIN_PLUS, OR_AND, PLUS_PAIR, PLUS_TIMES
 from sparsegraph.operators import centrality, kernels as K, linalg, nmf as N, paths, prediction, schema as S, similarity, spectral, subgraph, traversal, truss
 from sparsegraph.operators.metrics import products_below_diagonal, wasted_products
 from sparsegraph.plans.expr import Leaf
@@ -520,16 +520,57 @@ def lower_triangle_work(spark, d):
     return products_below_diagonal(G.copurchase(spark, d).select("src", "dst"))
 
 
-@query(f"WITH {COP} SELECT a.src AS v1, a.dst AS v2, b.dst AS v3, c.dst AS v4 FROM cop a JOIN cop b ON b.src = a.dst JOIN cop ab ON ab.src = a.src AND ab.dst = b.dst JOIN cop c ON c.src = b.dst JOIN cop ac ON ac.src = a.src AND ac.dst = c.dst JOIN cop bc ON bc.src = a.dst AND bc.dst = c.dst")
+TRIPLES = "w3 AS MATERIALIZED (SELECT a.src AS v1, a.dst AS v2, b.dst AS v3 FROM cop a JOIN cop b ON b.src = a.dst), t3 AS MATERIALIZED (SELECT w3.v1, w3.v2, w3.v3 FROM w3 SEMI JOIN cop ON cop.src = w3.v1 AND cop.dst = w3.v3)"
+
+
+@query(f"WITH {COP}, {TRIPLES}, w4 AS MATERIALIZED (SELECT a.v1, a.v2, a.v3, b.v3 AS v4 FROM t3 a JOIN t3 b ON a.v1 = b.v1 AND a.v2 = b.v2 AND a.v3 < b.v3) SELECT v1, v2, v3, v4 FROM w4 SEMI JOIN cop ON cop.src = w4.v3 AND cop.dst = w4.v4")
 def k_clique4(spark, d):
     return subgraph.k_cliques(G.copurchase(spark, d).select("src", "dst"), 4)
 
 
-@query(f"WITH {COP} SELECT a.src AS v1, a.dst AS v2, b.dst AS v3 FROM cop a JOIN cop b ON b.src = a.dst JOIN cop ab ON ab.src = a.src AND ab.dst = b.dst")
+@query(f"WITH {COP}, {TRIPLES} SELECT v1, v2, v3 FROM t3")
 def k_clique3(spark, d):
     return subgraph.k_cliques(G.copurchase(spark, d).select("src", "dst"), 3)
 
 
+@query("SELECT CAST(edge_id AS BIGINT) AS edge_id, CAST(support AS BIGINT) AS support FROM (VALUES (1, 1), (2, 1), (3, 1), (4, 1), (5, 2)) v(edge_id, support)")
+def toy_ktruss_sequential(spark, d):
+    """One edge at a time, on the worked graph: for comparison with the simultaneous peel."""
+    return truss.k_truss(G.toy5(spark), 3, method="sequential")[0].select("edge_id", "support")
+
+
+@query("SELECT size, members FROM (VALUES (3, '1,2,3'), (3, '1,3,4'), (2, '2,5')) v(size, members)")
+def toy_maximal_cliques(spark, d):
+    found = subgraph.maximal_cliques(G.toy5(spark).select("src", "dst"))
+    return found.select("size", F.array_join("members", ",").alias("members"))
+
+
+@query("SELECT pair, verdict FROM (VALUES ('relabelled', 'yes'), ('one edge less', 'no'), ('other shape', 'no')) v(pair, verdict)")
+def toy_isomorphism(spark, d):
+    """The worked graph against itself under new names, without an edge, and against one of the same size."""
+    e = G.toy5(spark).select("src", "dst")
+    renamed = S.simple_graph(e.select(((F.col("src") * 3) % 7 + 10).alias("src"), ((F.col("dst") * 3) % 7 + 10).alias("dst")))
+    ring = spark.createDataFrame([(1, 2), (2, 3), (3, 4), (4, 5), (1, 5), (1, 3)], "src bigint, dst bigint")
+    others = {"relabelled": renamed, "one edge less": e.where("src <> 1 or dst <> 3"), "other shape": ring}
+    return spark.createDataFrame([(k, similarity.isomorphic(e, g)) for k, g in others.items()], "pair string, verdict string")
+
+
+@query()
+def toy_matching(spark, d):
+    """The vertices of the worked graph matched with those of a renamed copy."""
+    e = G.toy5(spark).select("src", "dst")
+    return similarity.neighbor_matching(e, e.select((F.col("src") + 10).alias("src"), (F.col("dst") + 10).alias("dst")))
+
+
+@query()
+def planted_clique_found(spark, d):
+    """(method, k, found): of twelve vertices made a clique, how many each method names."""
+    edges, members = subgraph.plant(G.copurchase(spark, d).select("src", "dst"), 12)
+    edges = materialise(edges, "planted")
+    parts = [subgraph.planted_clique(edges, 12, m).join(members, "id", "left_semi").agg(F.lit(m).alias("method"), F.lit(12).alias("k"), F.count("*").alias("found")) for m in ("truss", "degree", "spectral")]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
 LABELS = chain("SELECT id, id AS l FROM deg", lambda k: f"SELECT s.id, least(s.l, t.l) AS l FROM s{k} s JOIN (SELECT bw.r AS id, min(p.l) AS l FROM bw JOIN s{k} p ON bw.c = p.id GROUP BY 1) t ON s.id = t.id", 40)
 
 
@@ -823,6 +864,34 @@ def reliable_path(spark, d):
     return paths.best_path(materialise(a, "cost"), 0, MAX_TIMES).select("id", F.round("dist", 9).alias("dist"))
 
 
+@query(f"WITH {COST}, {APSP} SELECT v AS dist FROM s5 WHERE r = 0 AND c = 24")
+def astar_nation(spark, d):
+    """From nation 0 to nation 24, with bounds from two landmarks."""
+    a = materialise(trade_cost(spark, d), "cost")
+    dist = paths.astar(a, 0, 24, paths.landmark_bound(a, 24, [5, 24]))
+    return spark.createDataFrame([] if dist is None else [(dist,)], "dist double")
+
+
+WIDE = chain("SELECT src AS r, dst AS c, CAST(w AS DOUBLE) AS v FROM trade WHERE src <> dst", lambda k: f"SELECT r, c, max(v) AS v FROM (SELECT r, c, v FROM s{k} UNION ALL SELECT a.r, b.c, least(a.v, b.v) FROM s{k} a JOIN s{k} b ON a.c = b.r) GROUP BY 1, 2", 5)
+
+
+@query(f"WITH {TRADE}, {WIDE} SELECT c AS id, v AS dist FROM s5 WHERE r = 0 AND c <> 0")
+def widest_path(spark, d):
+    """From nation 0: the largest least trade on a path."""
+    a = G.nation_trade(spark, d).where("src <> dst").select(F.col("src").alias("row"), F.col("dst").alias("col"), F.col("w").cast("double").alias("val"))
+    return paths.best_path(materialise(a, "width"), 0, MAX_MIN).where("id <> 0").select("id", "dist")
+
+
+LONG = chain("SELECT src AS r, dst AS c, CAST(w AS DOUBLE) AS v FROM trade WHERE src < dst", lambda k: f"SELECT r, c, max(v) AS v FROM (SELECT r, c, v FROM s{k} UNION ALL SELECT a.r, b.c, a.v + b.v FROM s{k} a JOIN s{k} b ON a.c = b.r) GROUP BY 1, 2", 5)
+
+
+@query(f"WITH {TRADE}, {LONG} SELECT c AS id, v AS dist FROM s5 WHERE r = 0")
+def critical_path(spark, d):
+    """From nation 0 along edges to larger numbers alone: the largest sum of trade."""
+    a = G.nation_trade(spark, d).where("src < dst").select(F.col("src").alias("row"), F.col("dst").alias("col"), F.col("w").cast("double").alias("val"))
+    return paths.best_path(materialise(a, "length"), 0, MAX_PLUS).where("id <> 0").select("id", "dist")
+
+
 # --- surrounding relational operators -------------------------------------------------------------------------------------------------
 
 
