@@ -774,6 +774,13 @@ def topic_terms(spark, d):
     return N.topic_terms(topics(spark, d), 10)
 
 
+@query()
+def topic_table(spark, d):
+    """Topic against language."""
+    truth = read_table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("lang").alias("label"))
+    return N.topic_table(N.communities(topics(spark, d)), truth)
+
+
 @query()
 def topic_purity(spark, d):
     truth = read_table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("lang").alias("label"))

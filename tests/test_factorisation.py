@@ -143,3 +143,10 @@ def test_recommendations_are_the_exact_best(spark, block):
         assert r["score"] == pytest.approx(s[r["row"], r["col"]]) and r["rank"] == len(got[r["row"]])
     want = {i: [int(c) for c in sorted(set(range(m)) - set(held[i]), key=lambda c: (-s[i, c], c))[:top]] for i in range(n)}
     assert got == {i: c for i, c in want.items() if c}
+
+
+def test_topic_table(spark):
+    assigned = spark.createDataFrame([(1, 0), (2, 0), (3, 0), (4, 1)], "id bigint, topic int")
+    truth = spark.createDataFrame([(1, "en"), (2, "en"), (3, "de"), (4, "de"), (9, "fr")], "id bigint, label string")
+    got = {(r["topic"], r["label"]): (r["n"], round(r["share"], 6)) for r in nmf.topic_table(assigned, truth).collect()}
+    assert got == {(0, "en"): (2, 0.666667), (0, "de"): (1, 0.333333), (1, "de"): (1, 1.0)}
