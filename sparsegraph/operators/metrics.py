@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+import time
+from dataclasses import dataclass
+
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .kernels import cosine, ewise_union, norm_fro  # noqa: F401
@@ -35,3 +38,51 @@ def products_below_diagonal(edges: DataFrame) -> DataFrame:
     that the upper form never makes."""
     d = both_ways(edges).groupBy("row").agg(F.count("*").alias("d"))
     return d.agg(F.sum(F.col("d") * F.col("d")).alias("total"), F.sum(F.col("d") * F.col("d") - F.expr("d * (d - 1) div 2")).cast("bigint").alias("below"))
+
+
+@dataclass
+class KernelStats:
+    """What the actions inside a `with` block cost, all jobs of the session together: seconds, stages, tasks, rows read, bytes
+    shuffled and spilled, CPU seconds, from Spark's status store (which holds the last spark.ui.retainedStages stages).
+    Rounds and products are the caller's, as a loop's report and `products` give them."""
+
+    spark: SparkSession
+    seconds: float = 0.0
+    stages: int = 0
+    tasks: int = 0
+    input_rows: int = 0
+    shuffle_written: int = 0
+    shuffle_read: int = 0
+    spilled: int = 0
+    cpu_seconds: float = 0.0
+    rounds: int | None = None
+    products: int | None = None
+
+    def _stages(self) -> list:
+        sc = self.spark.sparkContext
+        jvm = sc._jvm
+        sc._jsc.sc().listenerBus().waitUntilEmpty()
+        none = sc._gateway.new_array(jvm.double, 0)
+        held = sc._jsc.sc().statusStore().stageList(None, False, False, none, jvm.java.util.ArrayList())
+        return [held.apply(i) for i in range(held.size())]
+
+    def __enter__(self) -> KernelStats:
+        self._last = max((s.stageId() for s in self._stages()), default=-1)
+        self._began = time.monotonic()
+        return self
+
+    def __exit__(self, *exc) -> None:
+        self.seconds = time.monotonic() - self._began
+        for s in self._stages():
+            if s.stageId() > self._last and s.numCompleteTasks():
+                self.stages += 1
+                self.tasks += s.numCompleteTasks()
+                self.input_rows += s.inputRecords()
+                self.shuffle_written += s.shuffleWriteBytes()
+                self.shuffle_read += s.shuffleReadBytes()
+                self.spilled += s.diskBytesSpilled()
+                self.cpu_seconds += s.executorCpuTime() / 1e9
+
+    def row(self) -> dict:
+        out = {"seconds": round(self.seconds, 3), "stages": self.stages, "tasks": self.tasks, "input_rows": self.input_rows, "shuffle_mb": round(self.shuffle_written / 1e6, 1), "spill_mb": round(self.spilled / 1e6, 1), "cpu_s": round(self.cpu_seconds, 1)}
+        return out | {k: v for k, v in (("rounds", self.rounds), ("products", self.products)) if v is not None}

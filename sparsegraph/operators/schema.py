@@ -163,3 +163,102 @@ class AssocArray:
     @property
     def T(self) -> AssocArray:
         return AssocArray(transpose(self.df), self.sr)
+
+    def scale(self, s) -> AssocArray:
+        from .kernels import scale
+
+        return AssocArray(scale(self.df, s, self.sr), self.sr)
+
+    def apply(self, fn) -> AssocArray:
+        from .kernels import apply
+
+        return AssocArray(apply(self.df, fn, self.sr.zero), self.sr)
+
+    def reduce(self, axis: str = "row") -> DataFrame:
+        """(id, val): the entries of each row, or of each column, added."""
+        return self.df.groupBy(F.col(axis).alias("id")).agg(self.sr.add(F.col("val")).alias("val"))
+
+    def gram(self, *, diagonal: bool = True) -> AssocArray:
+        """A^T A, with the column labels on both sides."""
+        return AssocArray(gram(self.df, self.sr, diagonal=diagonal), self.sr)
+
+    def _edges(self) -> DataFrame:
+        return simple_graph(self.df.select(F.col("row").alias("src"), F.col("col").alias("dst")))
+
+    def truss(self, k: int, **kw) -> AssocArray:
+        """The k-truss of the undirected graph of the entries, in both directions, with supports as values; labels stay."""
+        from .truss import k_truss, with_ids
+
+        kept, _ = k_truss(with_ids(self._edges()), k, **kw)
+        up = kept.select(F.col("src").alias("row"), F.col("dst").alias("col"), F.col("support").alias("val"))
+        return AssocArray(up.unionByName(transpose(up)), self.sr)
+
+    def jaccard(self, **kw) -> AssocArray:
+        """Jaccard index of the neighbourhoods in the undirected graph of the entries; row < col."""
+        from .similarity import jaccard
+
+        return AssocArray(jaccard(self._edges(), **kw).select(F.col("i").alias("row"), F.col("j").alias("col"), F.col("score").alias("val")), self.sr)
+
+    def nmf(self, k: int, **kw):
+        """Factors with this array's labels as ids (see nmf.nmf)."""
+        from .nmf import nmf
+
+        return nmf(self.df, k, **kw)
+
+
+class AssocTensor:
+    """An associative array over any number of key sets: the key columns and `val`, each key tuple at most once."""
+
+    def __init__(self, df: DataFrame, keys: list[str], sr=PLUS_TIMES):
+        self.df, self.keys, self.sr = df.select(*keys, "val"), list(keys), sr
+
+    @classmethod
+    def build(cls, df: DataFrame, keys: list[str], val: str | None = None, sr=PLUS_TIMES) -> AssocTensor:
+        """Rows with a null key have no place; values of one tuple are added."""
+        from .kernels import prune
+
+        v = F.col(val) if val else F.lit(1).cast("bigint")
+        rows = df.dropna(subset=keys).select(*keys, v.alias("val"))
+        return cls(prune(rows.groupBy(*keys).agg(sr.add(F.col("val")).alias("val")), sr.zero), keys, sr)
+
+    def _like(self, df: DataFrame, keys: list[str] | None = None) -> AssocTensor:
+        from .kernels import prune
+
+        return AssocTensor(prune(df, self.sr.zero), keys or self.keys, self.sr)
+
+    def __add__(self, other: AssocTensor) -> AssocTensor:
+        every = self.df.unionByName(other.df)
+        return self._like(every.groupBy(*self.keys).agg(self.sr.add(F.col("val")).alias("val")))
+
+    def __and__(self, other: AssocTensor) -> AssocTensor:
+        both = self.df.withColumnRenamed("val", "_a").join(other.df.withColumnRenamed("val", "_b"), self.keys)
+        return self._like(both.select(*self.keys, self.sr.mult(F.col("_a"), F.col("_b")).alias("val")))
+
+    def at(self, **want) -> AssocTensor:
+        """The part whose keys are in a list, a Range, a Prefix or the ids of a DataFrame."""
+        from .kernels import key_filter
+
+        df = self.df
+        for key, keys in want.items():
+            df = key_filter(df, key, keys)
+        return AssocTensor(df, self.keys, self.sr)
+
+    def reduce(self, *keep: str) -> AssocTensor:
+        """The other keys added away; partial sums before the shuffle."""
+        return self._like(self.df.groupBy(*keep).agg(self.sr.add(F.col("val")).alias("val")), list(keep))
+
+    def contract(self, other: AssocTensor, *over: str) -> AssocTensor:
+        """The product summed over the shared keys `over`; the rest of both, which must differ in name, remain."""
+        left, right = [k for k in self.keys if k not in over], [k for k in other.keys if k not in over]
+        if set(left) & set(right):
+            raise ValueError("keys that stay must have different names")
+        both = self.df.withColumnRenamed("val", "_a").join(other.df.withColumnRenamed("val", "_b"), list(over))
+        cells = both.select(*left, *right, self.sr.mult(F.col("_a"), F.col("_b")).alias("val"))
+        return self._like(cells.groupBy(*left, *right).agg(self.sr.add(F.col("val")).alias("val")), left + right)
+
+    def unfold(self, rows: list[str], cols: list[str]) -> AssocArray:
+        """A two-dimensional array whose keys are the given keys, as structs where there are several."""
+        if sorted([*rows, *cols]) != sorted(self.keys):
+            raise ValueError("each key goes to one side")
+        side = lambda ks: F.col(ks[0]) if len(ks) == 1 else F.struct(*ks)
+        return AssocArray(self.df.select(side(rows).alias("row"), side(cols).alias("col"), "val"), self.sr)

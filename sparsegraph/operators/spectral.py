@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -25,9 +27,18 @@ def orthonormal(f: DataFrame, k: int) -> DataFrame:
     return rotate(f, u @ np.diag(keep**-0.5))
 
 
-def svd(a: DataFrame, k: int, *, iters: int = 8, extra: int = 4, seed: int = 1) -> tuple[DataFrame, np.ndarray, DataFrame]:
-    """(U, singular values, V): rows (id, w0..) by row key, and by column key, of triples (row, col, val)."""
+def svd(a: DataFrame, k: int, *, iters: int = 8, extra: int = 4, seed: int = 1, method: str = "subspace") -> tuple[DataFrame, np.ndarray, DataFrame]:
+    """(U, singular values, V): rows (id, w0..) by row key, and by column key, of triples (row, col, val). subspace iterates
+    a block; lanczos grows a basis of k + 2 extra + iters single vectors, one product with A^T A each. A matrix of lower
+    rank gives fewer than k with lanczos."""
     a = materialise(a.select("row", "col", F.col("val").cast("double").alias("val")), "matrix")
+    if method == "lanczos":
+        values, v = lanczos(lambda x: project(a, project(a, x, 1, "col"), 1, "row"), a.select(F.col("col").alias("id")).distinct(), k, steps=k + 2 * extra + iters, seed=seed)
+        s = np.sqrt(np.maximum(values, 0))
+        b = project(a, v, len(s), "col")
+        return rotate(b, np.diag(1 / np.maximum(s, 1e-300))), s, v
+    if method != "subspace":
+        raise ValueError(method)
     p = k + extra
     ids = a.select(F.col("col").alias("id")).distinct()
     h = F.pmod(F.xxhash64("id"), F.lit(1 << 31))
@@ -42,6 +53,35 @@ def svd(a: DataFrame, k: int, *, iters: int = 8, extra: int = 4, seed: int = 1)
     return rotate(b, rot[:, order] / np.maximum(s, 1e-300)), s, rotate(v, rot[:, order])
 
 
+def lanczos(product: Callable[[DataFrame], DataFrame], ids: DataFrame, k: int, *, steps: int, seed: int = 1) -> tuple[np.ndarray, DataFrame]:
+    """(the k largest eigenvalues, vectors (id, w0..)) of a symmetric operator on rows (id, w0). The basis is one table
+    with a column for each step; a new vector is made orthogonal to all of it twice. Ends early where nothing new is left."""
+    h = F.pmod(F.xxhash64("id"), F.lit(1 << 31))
+    basis = materialise(ids.select("id", (start_value(h, 0, seed) - 0.5).alias("w0")), "basis")
+    size = float(basis.agg(F.sqrt(F.sum(F.col("w0") * F.col("w0")))).first()[0] or 0.0)
+    if not size:
+        return np.zeros(0), basis.select("id")
+    basis = materialise(basis.select("id", (F.col("w0") / F.lit(size)).alias("w0")), "basis")
+    t = np.zeros((steps, steps))
+    used = steps
+    for j in range(steps):
+        image = product(basis.select("id", F.col(f"w{j}").alias("w0"))).select("id", F.col("w0").alias("x"))
+        both = materialise(basis.join(image, "id", "left").withColumn("x", F.coalesce("x", F.lit(0.0))), "image")
+        for _ in range(2):
+            r = both.agg(*[F.sum(F.col("x") * F.col(n)).alias(n) for n in names(j + 1)]).first()
+            t[j, j] += r[f"w{j}"]
+            both = both.withColumn("x", F.col("x") - sum(F.lit(float(r[n])) * F.col(n) for n in names(j + 1)))
+        size = float(both.agg(F.sqrt(F.sum(F.col("x") * F.col("x")))).first()[0])
+        if j + 1 == steps or size <= 1e-12 * max(abs(t[j, j]), t[0, 0], 1e-300):
+            used = j + 1
+            break
+        t[j, j + 1] = t[j + 1, j] = size
+        basis = materialise(both.select("id", *names(j + 1), (F.col("x") / F.lit(size)).alias(f"w{j + 1}")), "basis")
+    values, rot = np.linalg.eigh(t[:used, :used])
+    order = np.argsort(values)[::-1][:k]
+    return values[order], rotate(basis, rot[:, order])
+
+
 def top_eigs(a: DataFrame, k: int, **kw) -> tuple[np.ndarray, DataFrame]:
     """The k eigenvalues largest in size of a symmetric matrix, and their vectors."""
     _, _, v = svd(a, k, **kw)

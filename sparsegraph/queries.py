@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -10,6 +11,7 @@ from pyspark.sql import types as T
 from pyspark.sql import Window as W
 
 from sparsegraph.functions.semiring import MAX_MIN, MAX_PLUS, MAX_TIMES, MIN_PLUS, OR_AND, PLUS_PAIR, PLUS_TIMES
+from sparsegraph.functions.udaf import fold_by
 from sparsegraph.operators import centrality, kernels as K, linalg, nmf as N, paths, prediction, schema as S, similarity, spectral, subgraph, traversal, truss
 from sparsegraph.operators.metrics import products_below_diagonal, wasted_products
 from sparsegraph.plans.expr import Leaf
@@ -755,10 +757,24 @@ def _half(side: str, factor: str, name: str) -> str:
 
 @query(f"WITH {TOKENS}, u AS (SELECT DISTINCT doc_id, term FROM tok WHERE term <> ''), m AS MATERIALIZED (SELECT u.* FROM u JOIN (SELECT term FROM u GROUP BY 1 HAVING count(*) >= 5) f ON u.term = f.term), w_0 AS (SELECT DISTINCT doc_id AS id, {_start('doc_id', 0)} AS w0, {_start('doc_id', 1)} AS w1 FROM m), {_half('doc_id', 'w_0', 'h_1')}, {_half('term', 'h_1', 'w_1')}, {_half('doc_id', 'w_1', 'h_2')}, {_half('term', 'h_2', 'w_2')} SELECT id AS doc_id, round(w0, 6) AS w0, round(w1, 6) AS w1 FROM w_2")
 def nmf_docterm_k2(spark, d):
-    model = N.nmf(N.doc_term(read_table(spark, d, "documents")), 2, max_iter=2, rel_tol=0.0)
+    return _docterm_k2(spark, d, "newton")
+
+
+def _docterm_k2(spark, d, solver: str) -> DataFrame:
+    model = N.nmf(N.doc_term(read_table(spark, d, "documents")), 2, solver=solver, max_iter=2, rel_tol=0.0)
     return model.W.select(F.col("id").alias("doc_id"), r6("w0").alias("w0"), r6("w1").alias("w1"))
 
 
+@query(ORACLES["nmf_docterm_k2"])
+def nmf_docterm_k2_cg(spark, d):
+    return _docterm_k2(spark, d, "cg")
+
+
+@query(ORACLES["nmf_docterm_k2"])
+def nmf_docterm_k2_qr(spark, d):
+    return _docterm_k2(spark, d, "qr")
+
+
 def topics(spark, d):
     return N.nmf(N.doc_term(read_table(spark, d, "documents")), 5, max_iter=10)
 
@@ -813,6 +829,13 @@ def svd_docterm(spark, d):
     return spark.createDataFrame([(i, float(v)) for i, v in enumerate(s)], "component int, value double")
 
 
+@query()
+def svd_lanczos(spark, d):
+    """The values of svd_docterm, from single vectors."""
+    _, s, _ = spectral.svd(N.doc_term(read_table(spark, d, "documents")), 4, method="lanczos")
+    return spark.createDataFrame([(i, float(v)) for i, v in enumerate(s)], "component int, value double")
+
+
 # --- traversal and paths --------------------------------------------------------------------------------------------------------------
 
 USER0 = "SELECT min(src) AS id FROM succ"
@@ -1068,6 +1091,55 @@ def session_adjacency(spark, d):
     return stream.session_adjacency(G.events(spark, d)).select(F.unix_micros("start").alias("start_us"), F.unix_micros("end").alias("end_us"), "user_id", "w")
 
 
+# --- labelled arrays, lateral joins, folds of one's own -----------------------------------------------------------------------
+
+
+@query(f"WITH {COP}, {truss_sql('cop', 3, 4, 'k')}, t AS ({support_sql('k4')}) SELECT 'part|' || src AS row, 'part|' || dst AS col, support AS val FROM t UNION ALL SELECT 'part|' || dst, 'part|' || src, support FROM t")
+def assoc_truss(spark, d):
+    label = lambda c: F.concat(F.lit("part|"), F.col(c).cast("string"))
+    parts = G.copurchase(spark, d).select(label("src").alias("a"), label("dst").alias("b"))
+    return S.AssocArray.build(parts, "a", "b").truss(3).df.select("row", "col", "val")
+
+
+@query("WITH t AS (SELECT user_id, event_type, CAST(ts AS DATE) AS day, count(*) AS n FROM events GROUP BY 1, 2, 3), u AS (SELECT user_id, event_type AS other, count(*) AS m FROM events GROUP BY 1, 2) SELECT event_type, day, other, CAST(sum(n * m) AS BIGINT) AS val FROM t JOIN u ON t.user_id = u.user_id GROUP BY 1, 2, 3")
+def tensor_contract(spark, d):
+    """Users, types and days as one array of three key sets, multiplied by users and types over the users."""
+    t = S.AssocTensor.build(G.events(spark, d).withColumn("day", F.to_date("ts")), ["user_id", "event_type", "day"])
+    u = t.reduce("user_id", "event_type")
+    other = S.AssocTensor(u.df.withColumnRenamed("event_type", "other"), ["user_id", "other"])
+    return t.contract(other, "user_id").df
+
+
+@query("WITH t AS (SELECT DISTINCT user_id, event_type, CAST(ts AS DATE) AS day FROM events) SELECT event_type, count(*) AS cells FROM t GROUP BY 1")
+def tensor_pattern(spark, d):
+    t = S.AssocTensor.build(G.events(spark, d).withColumn("day", F.to_date("ts")), ["user_id", "event_type", "day"])
+    return t.df.groupBy("event_type").agg(F.count("*").alias("cells"))
+
+
+@query(f"WITH {COP}, bw AS (SELECT src AS r, dst AS c, w FROM cop UNION ALL SELECT dst, src, w FROM cop), t AS (SELECT r AS id, c AS near, w, row_number() OVER (PARTITION BY r ORDER BY w DESC, c) AS rank FROM bw WHERE r IN (SELECT p_partkey FROM part WHERE p_size = 10)) SELECT id, near, w FROM t WHERE rank <= 3")
+def lateral_neighbours(spark, d):
+    """The three strongest neighbours of each cue, by a lateral join."""
+    e = G.copurchase(spark, d)
+    both = e.unionByName(e.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w")).toDF("r", "near", "w")
+    cues = read_table(spark, d, "part").where("p_size = 10").select(F.col("p_partkey").alias("id"))
+    best = both.where(F.col("r") == F.col("id").outer()).orderBy(F.col("w").desc(), "near").limit(3).select("near", "w")
+    return cues.lateralJoin(best).select("id", "near", "w")
+
+
+@query("SELECT event_type, count(DISTINCT user_id) AS users, TRUE AS near FROM events GROUP BY 1")
+def degree_approx(spark, d):
+    """Distinct users of each type, and whether the sketch of 2% deviation comes within 10%."""
+    both = read_table(spark, d, "events").groupBy("event_type").agg(F.count_distinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("about"))
+    return both.select("event_type", "users", (F.abs(F.col("about") - F.col("users")) <= F.greatest(F.lit(1.0), F.col("users") * 0.1)).alias("near"))
+
+
+@query("WITH q AS (SELECT l_partkey AS id, CAST(l_quantity AS BIGINT) AS q FROM lineitem) SELECT id, CAST(max(d) AS BIGINT) AS val FROM (SELECT id, d FROM q, range(1, 101) r(d) GROUP BY 1, 2 HAVING bool_and(q % d = 0)) GROUP BY 1")
+def reduce_user_monoid(spark, d):
+    """The greatest common divisor of each part's quantities: an addition that only Python knows."""
+    q = read_table(spark, d, "lineitem").select(F.col("l_partkey").alias("id"), F.col("l_quantity").cast("bigint").alias("val"))
+    return fold_by(q, "id", "val", math.gcd)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(QUERIES)
 

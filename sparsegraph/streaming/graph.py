@@ -46,6 +46,11 @@ def deduplicated(stream: DataFrame, watermark: str = "1 day") -> DataFrame:
     return stream.withWatermark("ts", watermark).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def late_rows(query) -> int:
+    """Rows that a streaming query's stateful operators dropped behind the watermark, over the progress it still holds."""
+    return sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+
+
 SUCCESSION = "user_id bigint, src string, dst string, gap_us bigint"
 
 

@@ -41,7 +41,11 @@ def test_conjugate_gradient_and_tsqr(spark):
     rng = np.random.default_rng(2)
     w = rng.random((40, 4))
     g = w.T @ w
-    assert np.allclose(nmf.conjugate_gradient(g, np.arange(4.0)), np.linalg.solve(g, np.arange(4.0)))
+    b = rng.random((7, 4))
+    b[3] = 0
+    assert np.allclose(nmf.conjugate_gradients(g, b), np.linalg.solve(g, b.T).T)
+    flat = np.outer(np.ones(3), np.ones(3))
+    assert np.allclose(nmf.conjugate_gradients(flat, flat[:1]) @ flat, flat[:1])  # singular, but with a solution
     r = linalg.tsqr(spark.createDataFrame([(x.tolist(),) for x in w], "vec array<double>"), 4)
     assert np.allclose(r.T @ r, g)
 
@@ -150,3 +154,32 @@ def test_topic_table(spark):
     truth = spark.createDataFrame([(1, "en"), (2, "en"), (3, "de"), (4, "de"), (9, "fr")], "id bigint, label string")
     got = {(r["topic"], r["label"]): (r["n"], round(r["share"], 6)) for r in nmf.topic_table(assigned, truth).collect()}
     assert got == {(0, "en"): (2, 0.666667), (0, "de"): (1, 0.333333), (1, "de"): (1, 1.0)}
+
+
+def test_lanczos_agrees_with_numpy(spark, small):
+    a, t = small
+    u, s, v = spectral.svd(t, 3, method="lanczos")
+    assert np.allclose(s, np.linalg.svd(a, compute_uv=False)[:3], rtol=1e-8)
+    left = {r["id"]: [r["w0"], r["w1"], r["w2"]] for r in u.collect()}
+    right = {r["id"]: [r["w0"], r["w1"], r["w2"]] for r in v.collect()}
+    x, y = np.array([left[i] for i in range(25)]), np.array([right[i] for i in range(18)])
+    assert np.allclose(x.T @ x, np.eye(3), atol=1e-7) and np.allclose(y.T @ y, np.eye(3), atol=1e-7)
+    assert np.allclose(a @ y, x * s, atol=1e-7)
+    one = triples(spark, np.outer(np.arange(1.0, 5), np.arange(1.0, 4)))
+    assert len(spectral.svd(one, 3, method="lanczos")[1]) <= 2  # ends when nothing new is left
+    with pytest.raises(ValueError):
+        spectral.svd(t, 2, method="other")
+
+
+def test_kernel_stats(spark, small):
+    from sparsegraph.operators import metrics
+    from sparsegraph.operators.kernels import gram
+
+    with metrics.KernelStats(spark) as stats:
+        gram(small[1]).write.format("noop").mode("overwrite").save()
+    assert stats.stages >= 2 and stats.shuffle_written > 0 and stats.shuffle_read == stats.shuffle_written and stats.seconds > 0
+    stats.rounds = 3
+    assert stats.row()["rounds"] == 3 and "products" not in stats.row()
+    with metrics.KernelStats(spark) as idle:
+        pass
+    assert idle.stages == 0

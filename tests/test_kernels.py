@@ -132,6 +132,72 @@ def test_associative_arrays(spark):
     assert (e + e).df.count() == 0 and (e @ e).df.count() == 0
 
 
+def test_algorithms_on_labels(spark):
+    edges = [("a", "b"), ("b", "c"), ("a", "c"), ("c", "d"), ("d", "d")]
+    x = S.AssocArray.build(spark.createDataFrame(edges, "s string, t string"), "s", "t")
+    kept = {(r["row"], r["col"]): r["val"] for r in x.truss(3).df.collect()}
+    assert kept == {(p, q): 1 for p in "abc" for q in "abc" if p != q}
+    near = {(r["row"], r["col"]): r["val"] for r in x.jaccard().df.collect()}
+    assert near["a", "b"] == pytest.approx(1 / 3) and near["a", "d"] == pytest.approx(1 / 2)
+    assert x.scale(3).df.agg(F.sum("val")).first()[0] == 15 and x.apply(lambda v: v - 1).df.count() == 0
+    assert {r["id"]: r["val"] for r in x.reduce("row").collect()} == {"a": 2, "b": 1, "c": 1, "d": 1}
+    assert {(r["row"], r["col"]) for r in x.gram(diagonal=False).df.collect()} == {("b", "c"), ("c", "b")}
+    model = x.nmf(2, max_iter=2)
+    assert {r["id"] for r in model.W.select("id").collect()} == set("abcd")
+
+
+def test_tensors_against_dense(spark):
+    rng = np.random.default_rng(7)
+    a, b = (rng.integers(1, 5, (3, 4, 5)) * (rng.random((3, 4, 5)) < 0.5) for _ in range(2))
+
+    def tensor(m, keys):
+        rows = [(*map(int, at), float(m[tuple(at)])) for at in np.argwhere(m)]
+        return S.AssocTensor.build(spark.createDataFrame(rows, ", ".join(f"{k} bigint" for k in keys) + ", v double"), keys, "v")
+
+    def array(t, shape):
+        out = np.zeros(shape)
+        for r in t.df.collect():
+            out[tuple(r[k] for k in t.keys)] += r["val"]
+        return out
+
+    x, y = tensor(a, ["i", "j", "k"]), tensor(b, ["i", "j", "k"])
+    assert np.array_equal(array(x + y, a.shape), a + b) and np.array_equal(array(x & y, a.shape), a * b)
+    assert np.array_equal(array(x.reduce("k", "i"), (5, 3)), np.einsum("ijk->ki", a))
+    z = tensor(b.transpose(2, 1, 0), ["k", "j", "l"])
+    assert np.array_equal(array(x.contract(z, "j", "k"), (3, 3)), np.einsum("ijk,ljk->il", a, b))
+    assert np.array_equal(array(x.at(i=[0], k=K.Range(1, 2)), a.shape)[0, :, 1:3], a[0, :, 1:3])
+    flat = x.unfold(["i"], ["j", "k"])
+    got = (flat @ flat.T).df
+    assert np.array_equal(dense(got, n=3), np.einsum("ijk,ljk->il", a, a))
+    with pytest.raises(ValueError):
+        x.contract(y, "j")
+    none = S.AssocTensor.build(spark.createDataFrame([(None, "x", 1)], "i string, j string, v bigint"), ["i", "j"], "v")
+    assert none.df.count() == 0 and (none + none).df.count() == 0
+
+
+@pytest.mark.parametrize("held", [1, 1 << 16])
+def test_folds_of_ones_own(spark, held):
+    from math import gcd
+
+    from sparsegraph.functions import udaf
+
+    rows = [("a", 12), ("a", 18), ("a", None), ("b", 7), (None, 4), (None, 6), ("c", None)] + [("hot", 30)] * 500
+    df = spark.createDataFrame(rows, "k string, v bigint").repartition(5)
+    got = {r["k"]: r["v"] for r in udaf.fold_by(df, "k", "v", gcd, held=held).collect()}
+    assert got == {"a": 6, "b": 7, None: 2, "c": None, "hot": 30}
+    assert udaf.fold_by(df.limit(0), "k", "v", gcd).count() == 0
+
+
+def test_cogroups(spark):
+    import pyarrow as pa
+
+    from sparsegraph.functions import udaf
+
+    a, b = (spark.createDataFrame(r, "k bigint, v bigint") for r in ([(1, 2), (1, 3), (2, 5)], [(1, 7)]))
+    both = lambda x, y: pa.table({"n": [x.num_rows], "m": [y.num_rows]})
+    assert sorted(map(tuple, udaf.cogrouped(a, b, "k", both, "n bigint, m bigint").collect())) == [(1, 0), (2, 1)]
+
+
 def test_expression_rewrites(spark):
     a = random_matrix(6)
     p = (a > 0).astype(float)

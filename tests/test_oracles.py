@@ -18,6 +18,7 @@ SOME = [
     "inverse_gram", "nmf_docterm_k2", "apsp_nation", "cube_trade", "rollup_geo", "grouping_sets_trade", "top_edge_per_vertex", "trade_block", "trade_decimal_sum", "user_succession",
     "moving_range", "session_first_last", "join_interval_events", "join_asof_events", "setops_except", "page_hosts", "events_daily_degree", "degree_map", "props_json_facet", "session_adjacency",
     "k_clique3", "k_clique4", "toy_ktruss_sequential", "toy_maximal_cliques", "toy_isomorphism", "astar_nation", "widest_path", "critical_path",
+    "nmf_docterm_k2_cg", "nmf_docterm_k2_qr", "assoc_truss", "tensor_contract", "tensor_pattern", "lateral_neighbours", "degree_approx", "reduce_user_monoid",
 ]
 
 

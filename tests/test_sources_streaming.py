@@ -105,6 +105,20 @@ def test_successions_by_user(spark, tmp_path, kw):
     assert rows(got) == rows(want)
 
 
+def test_late_rows_are_counted(spark, tmp_path):
+    """Two batches: the second holds one row far behind the watermark of the first."""
+    path, kind = str(tmp_path / "late"), "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
+    rows_at = lambda *days: spark.createDataFrame([(d, f"2024-01-{d:02d} 00:00:00", 1, "a", 1.0, None) for d in days], kind.replace("timestamp", "string")).withColumn("ts", F.to_timestamp("ts"))
+    os.makedirs(path)
+    live = stream.windowed_adjacency(stream.stream_events(spark, path), watermark="1 day")
+    q = None
+    for part in ((10, 11), (12, 1)):
+        rows_at(*part).coalesce(1).write.mode("append").parquet(path)
+        q = live.writeStream.outputMode("append").format("parquet").option("path", str(tmp_path / "late-out")).option("checkpointLocation", str(tmp_path / "late-state")).trigger(availableNow=True).start()
+        assert q.awaitTermination(120)
+    assert stream.late_rows(q) == 1
+
+
 def test_stream_joins(spark, batches, tmp_path):
     cues = spark.createDataFrame([(1,), (1,), (3,)], "user_id bigint")
     got = drained(stream.with_static(stream.stream_events(spark, batches), cues), "cued", "append", tmp_path)
