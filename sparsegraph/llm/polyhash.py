@@ -11,12 +11,14 @@ common prefix that binary search finds in the prefix hashes, and the Dice share
 estimate. Equal texts have equal fingerprints and likeness 1.
 
 Null counts as the empty text; two empty texts are alike (1), an empty and another text are not (0). Rows are ordered by
-id, then text; rows that share an id follow each other. A null id comes first. Very long texts are hashed whole, in pieces
+id, then a hash of the text, then text; rows that share an id follow each other. A null id comes first. Very long texts are hashed whole, in pieces
 of bounded memory."""
 
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -213,17 +215,26 @@ class Hashed:
 COARSE = 128
 
 
-def range_number(docs: DataFrame, key, range_bytes: int):
-    """A number that never falls as the key grows and puts about range_bytes of text under each value: the place among
-    COARSE quantiles, then even steps between two of them. 2**20 ranges at most."""
+def range_number(docs: DataFrame, key, mark, range_bytes: int):
+    """A number that never falls as (key, mark) grows and puts about range_bytes of text under each value: the place among
+    COARSE quantiles of the key, then even steps between two of them. A key that several quantiles meet has as many times
+    the steps to itself, by its 64-bit marks, so that the rows of one id (or of none) are split too. 2**21 ranges at most."""
     got = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)).alias("bytes"), F.percentile_approx(key, [k / COARSE for k in range(COARSE + 1)], 20 * COARSE).alias("cuts")).first()
-    cuts = sorted(set(got["cuts"] or [0]))
+    met = Counter(got["cuts"] or [0])
+    cuts = sorted(met)
     fine = min(max(1, got["bytes"] // range_bytes // COARSE), (1 << 20) // COARSE)
-    at = F.array(*[F.lit(c) for c in cuts])
-    coarse = F.greatest(F.size(F.filter(at, lambda c: c <= key)), F.lit(1))
-    low, high = F.get(at, coarse - 1), F.coalesce(F.get(at, coarse), F.get(at, coarse - 1) + 1)
-    step = F.least(F.greatest((key.cast("double") - low) / (high.cast("double") - low), F.lit(0.0)), F.lit(1.0)) * fine
-    return (coarse * fine + F.least(step.cast("int"), F.lit(fine - 1))).cast("int")
+    own = [fine * met[c] if met[c] > 1 else 1 for c in cuts]
+    # Each cut has its own ranges, then those up to the next cut.
+    start = [0, *accumulate(n + fine for n in own)]
+    numbers = lambda values: F.array(*[F.lit(v) for v in values])
+    at = numbers(cuts)
+    i = F.greatest(F.size(F.filter(at, lambda c: c <= key)), F.lit(1)) - 1
+    low, high = F.get(at, i), F.coalesce(F.get(at, i + 1), F.get(at, i) + 1)
+    first, mine = F.get(numbers(start), i), F.get(numbers(own), i)
+    share = lambda x, n: F.least((F.least(F.greatest(x, F.lit(0.0)), F.lit(1.0)) * n).cast("int"), n - 1)
+    within = share(mark.cast("double") / 2.0**64 + 0.5, mine)
+    between = mine + share((key.cast("double") - low) / (high.cast("double") - low), F.lit(fine))
+    return (first + F.when(key < low, 0).when(key == low, within).otherwise(between)).cast("int")
 
 
 RESULT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
@@ -234,17 +245,18 @@ def chained_fingerprints(docs: DataFrame, *, range_bytes: int = RANGE_BYTES) ->
     next in ascending id, after the last the first) and how alike they are to the text's own.
 
     Texts move once: to ranges of ids, in which they are read in order. The first text of a range also goes to the range
-    before it (that of the first range to the last), as what follows its last. The firsts are broadcast: 24 bytes for each
-    of at most 2**20 ranges."""
+    before it (that of the first range to the last), as what follows its last. The firsts are broadcast: 32 bytes for each
+    of at most 2**21 ranges. Only rows equal in id and text are never split."""
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(LOWEST))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("k"), F.coalesce("text", F.lit("")).alias("text"))
-    docs = docs.withColumn("r", range_number(docs, F.col("k"), range_bytes))
-    heads = docs.groupBy("r").agg(F.min("k").alias("head"))
+    docs = docs.withColumn("m", F.xxhash64("text"))
+    docs = docs.withColumn("r", range_number(docs, F.col("k"), F.col("m"), range_bytes))
+    heads = docs.groupBy("r").agg(F.min(F.struct("k", "m")).alias("head"))
     heads = heads.select("head", F.coalesce(F.lag("r").over(W.orderBy("r")), F.max("r").over(W.partitionBy())).alias("back"))
-    both = docs.join(F.broadcast(heads), docs["k"] == heads["head"], "left")
+    both = docs.join(F.broadcast(heads), (docs["k"] == heads["head.k"]) & (docs["m"] == heads["head.m"]), "left")
     own, copy = F.struct(F.lit(0).alias("follows"), F.col("r").alias("r")), F.struct(F.lit(1).alias("follows"), F.col("back").alias("r"))
-    placed = both.select("doc_id", "k", "text", F.explode(F.when(F.col("back").isNull(), F.array(own)).otherwise(F.array(own, copy))).alias("to"))
-    ordered = placed.select("text", "doc_id", "k", "to.follows", "to.r").repartition("r").sortWithinPartitions("r", "follows", "k", "text")
+    placed = both.select("doc_id", "k", "m", "text", F.explode(F.when(F.col("back").isNull(), F.array(own)).otherwise(F.array(own, copy))).alias("to"))
+    ordered = placed.select("text", "doc_id", "k", "m", "to.follows", "to.r").repartition("r").sortWithinPartitions("r", "follows", "k", "m", "text")
 
     def run(batches):
         last_range, held, held_id = None, None, None

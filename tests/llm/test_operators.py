@@ -133,6 +133,74 @@ def test_fingerprints(spark, folder):
     assert np.mean([r["near_next"] for i, r in got.items() if r["n_chars"] > 100 and i < 100]) < 0.2
 
 
+def plain_fingerprint(text):
+    """The fingerprint by its definition, in whole numbers, one power and one span at a time."""
+    m, wide = 2**31 - 1, 2**64
+
+    def span(at, width):
+        out = 0
+        for b in polyhash.BASES:
+            h = 0
+            for c in reversed(text[at : at + width]):
+                h = (h * b + ord(c) + 1) % m
+            out = out << 31 | h
+        return out
+
+    def mix(x):
+        x ^= x >> 30
+        x = x * 0xBF58476D1CE4E5B9 % wide
+        x ^= x >> 27
+        x = x * 0x94D049BB133111EB % wide
+        return x ^ x >> 31
+
+    n, step = len(text), 1
+    while n // step > 32:
+        step *= 2
+    width = min(n, 16)
+    sketch = sorted({mix(span(i, width)) for i in range(n - width + 1)} if n else ())[:64]
+    whole = span(0, n)
+    return n, step, sketch, f"{n:x}:{whole:016x}:{''.join(f'{span(0, k):016x}' for k in range(step, n + 1, step))}:{''.join(f'{x:016x}' for x in sketch)}"
+
+
+def plain_likeness(s, t):
+    if s == t:
+        return 1.0
+    if not s or not t:
+        return 0.0
+    (n, a, x, _), (k, b, y, _) = plain_fingerprint(s), plain_fingerprint(t)
+    step = max(a, b)
+    same = max(j for j in range(0, min(n, k) + 1, step) if s[:j] == t[:j])
+    both = sorted({*x, *y})[:64]
+    j = sum(v in x and v in y for v in both) / len(both)
+    return max(2 * same / (n + k), 2 * j / (1 + j))
+
+
+def test_fingerprints_against_their_definition(spark):
+    base = "the quick brown fox jumps over the lazy dog, twice: été 𝄞 "
+    text = ["", "a", "ab", base[:15], base[:16], base[:17], base * 3, base * 3 + "tail", base[::-1] * 2, "z" * 400, base * 9]
+    docs = spark.createDataFrame(list(enumerate(text)), "doc_id bigint, text string")
+    got = {r["doc_id"]: r for r in polyhash.chained_fingerprints(docs, range_bytes=100).collect()}
+    for i, t in enumerate(text):
+        nxt = text[(i + 1) % len(text)]
+        edited = t[: len(t) - len(t) // 2] + nxt[: len(t) // 2]
+        r = got[i]
+        assert r["fingerprint"] == plain_fingerprint(t)[3] and r["edited_fingerprint"] == plain_fingerprint(edited)[3]
+        assert r["near_edited"] == pytest.approx(plain_likeness(t, edited)) and r["near_next"] == pytest.approx(plain_likeness(t, nxt))
+
+
+@pytest.mark.parametrize("hot", [7, None])
+def test_rows_of_one_id_are_split(spark, hot):
+    rows = [(hot if i % 2 else i, f"text number {i} " * 5) for i in range(3000)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got, whole = (sorted(map(str, polyhash.chained_fingerprints(docs, range_bytes=b).collect())) for b in (400, 1 << 30))
+    assert got == whole and len(got) == 3000
+    key, mark = F.coalesce("doc_id", F.lit(polyhash.LOWEST)), F.xxhash64("text")
+    placed = docs.select(key.alias("k"), mark.alias("m"), polyhash.range_number(docs, key, mark, 400).alias("r")).orderBy("k", "m").collect()
+    assert [p["r"] for p in placed] == sorted(p["r"] for p in placed)  # never falls
+    lot = Counter(p["r"] for p in placed if p["k"] == (polyhash.LOWEST if hot is None else hot))
+    assert len(lot) > 50 and max(lot.values()) < 150
+
+
 def test_fingerprints_of_few_rows(spark):
     one = spark.createDataFrame([(7, "abcd", None, None, 4)], DOCS)
     assert polyhash.chained_fingerprints(one).first()["edited_sha256"] == hashlib.sha256(b"abab").hexdigest()
