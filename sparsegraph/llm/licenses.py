@@ -1,11 +1,13 @@
 """License scans by conditional compression.
 
-Every hint word of license language opens a window of about two template lengths on either side of it, whatever lines,
-paragraphs or comment marks it runs over. Window and template are compared as lower-cased words. In a window that holds
-enough of a template's words, the stretch that is the fewest word edits away from the template is aligned with it, and must
-be within the allowed number of edits. The stretch, without the text around it, which would drown its saving, is compressed
-alone and with the template as zstandard raw dictionary; the share of its bytes that the template saves must reach a least
-value and ranks the templates. Reported are the byte offsets of the stretch, the saving and the exact differences.
+Candidate blocks come from the templates themselves. A template of which at most k words may be edited is cut into k + 1 runs
+of words; k edits leave at least one run whole, so every stretch within the allowed edits holds one. All runs of all templates
+are searched at once, in the text as lower-cased words, whatever lines, paragraphs or comment marks it runs over; each opens a
+window of a template length on either side. In a window that holds enough of a template's words, the stretch that is the
+fewest word edits away from the template is aligned with it, and must be within the allowed number of edits. The stretch,
+without the text around it, which would drown its saving, is compressed alone and with the template as zstandard raw
+dictionary; the share of its bytes that the template saves must reach a least value and ranks the templates. Reported are the
+byte offsets of the stretch, the saving and the exact differences.
 
 Null and empty texts have no windows. Ties between templates go to more words explained (equal ones less edits), then to the
 larger saving, then to the longer template, then to the name; of overlapping notices only those go that a better one covers, all
@@ -50,8 +52,11 @@ TEMPLATES = {
     "ISC": ["Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies."],
     "Unlicense": ["This is free and unencumbered software released into the public domain."],
 }
-HINTS = ("licen", "permission", "redistribut", "copyright", "public domain", "free software", "mozilla public", "creative commons", "spdx")
 WORD = re.compile(rb"[0-9a-z]+(?:[.-][0-9a-z]+)*")
+#: Where a text may be cut without cutting a word.
+GAP = re.compile(rb"[^0-9a-z.-]")
+#: Bytes of a text that are words in memory at once.
+BLOCK = 1 << 20
 
 
 def words(text: bytes) -> list[bytes]:
@@ -59,10 +64,19 @@ def words(text: bytes) -> list[bytes]:
     return WORD.findall(text.lower())
 
 
+def runs(want: list[bytes], most: int) -> list[list[bytes]]:
+    """The words cut into most + 1 runs (no more than there are words), of which `most` edits leave one whole."""
+    n = min(most + 1, len(want))
+    return [want[i * len(want) // n : (i + 1) * len(want) // n] for i in range(n)]
+
+
 class Scanner:
-    def __init__(self, templates: dict[str, list[str]]):
+    def __init__(self, templates: dict[str, list[str]], min_saving: float = 0.25, max_difference: float = 0.15):
+        import ahocorasick
         import zstandard
 
+        self.min_saving, self.max_difference = min_saving, max_difference
+
         plain = zstandard.ZstdCompressor(level=LEVEL, write_content_size=False, write_checksum=False, write_dict_id=False)
         frame = len(plain.compress(b""))
         self.alone = lambda text: len(plain.compress(text)) - frame
@@ -78,6 +92,45 @@ class Scanner:
                 given = zstandard.ZstdCompressor(level=LEVEL, dict_data=pack, write_content_size=False, write_checksum=False, write_dict_id=False)
                 self.templates.append((name, want, Counter(want), lambda text, c=given: len(c.compress(text)) - frame))
 
+        owners: dict[str, set[int]] = {}
+        for k, (_, want, *_) in enumerate(self.templates):
+            for run in runs(want, self.most(k)):
+                owners.setdefault(f" {b' '.join(run).decode()} ", set()).add(k)
+        self.longest = max((key.count(" ") - 1 for key in owners), default=0)
+        self.automaton = ahocorasick.Automaton()
+        for key, ks in owners.items():
+            self.automaton.add_word(key, (len(key), tuple(sorted(ks))))
+        if owners:
+            self.automaton.make_automaton()
+
+    def most(self, k: int) -> int:
+        """Word edits that template k may have."""
+        return int(self.max_difference * len(self.templates[k][1]))
+
+    def anchors(self, low: bytes) -> dict[int, list[int]]:
+        """For each template of which a run occurs in the lower-cased text, the numbers of the words where one begins."""
+        import numpy as np
+
+        out: dict[int, set[int]] = {}
+        tail: list[bytes] = []
+        at = before = 0
+        while self.longest and at < len(low):
+            cut = GAP.search(low, at + BLOCK)
+            to = cut.start() if cut else len(low)
+            own = tail + WORD.findall(low, at, to)
+            line = f" {b' '.join(own).decode()} "
+            hits = list(self.automaton.iter(line))
+            if hits:
+                spaces = np.flatnonzero(np.frombuffer(line.encode(), np.uint8) == 32)
+                first = np.searchsorted(spaces, [end - size + 1 for end, (size, _) in hits]) + (before - len(tail))
+                for word, (_, (_, ks)) in zip(first.tolist(), hits, strict=True):
+                    for k in ks:
+                        out.setdefault(k, set()).add(word)
+            before += len(own) - len(tail)
+            tail = own[len(own) - min(self.longest - 1, len(own)) :]
+            at = to
+        return {k: sorted(out[k]) for k in sorted(out)}
+
     def matches(self, k: int, own: list[bytes], min_saving: float, max_difference: float) -> list[dict]:
         """Disjoint stretches of the words `own` that hold template k, each with the positions of its equal words."""
         name, want, counts, given = self.templates[k]
@@ -156,30 +209,22 @@ def windows(hits: list[int], reach: int, n: int) -> Iterator[tuple[int, int]]:
         at = to + 1
 
 
-def hints_in(hints: tuple[str, ...]) -> re.Pattern[bytes]:
-    """Any hint; its words may be apart by anything but words, such as a line end and a comment mark."""
-    return re.compile(rb"|".join(rb"\W+".join(re.escape(w.encode()) for w in h.split()) for h in hints), re.I)
-
-
-def notices(text: bytes, scanner: Scanner, hint: re.Pattern[bytes], min_saving: float, max_difference: float, seen: dict) -> list[dict]:
+def notices(text: bytes, scanner: Scanner, seen: dict) -> list[dict]:
     """Confirmed notices of one text in order of their start."""
-    hits = [m.start() for m in hint.finditer(text)]
-    if not hits:
-        return []
     low = text.lower()
-    starts, ends = array("i"), array("i")
+    anchors = scanner.anchors(low)
+    if not anchors:
+        return []
+    starts, ends = array("q"), array("q")
     for m in WORD.finditer(low):
         starts.append(m.start())
         ends.append(m.end())
-    hits = sorted({max(0, bisect_right(starts, h) - 1) for h in hits})
     found = []
-    for k, (_, want, *_) in enumerate(scanner.templates):
-        for lo, hi in windows(hits, 2 * (len(want) + int(max_difference * len(want))), len(starts)):
-            if lo == hi:
-                continue
+    for k, hits in anchors.items():
+        for lo, hi in windows(hits, len(scanner.templates[k][1]) + scanner.most(k), len(starts)):
             part = low[starts[lo] : ends[hi - 1]]
             if (k, part) not in seen:
-                seen[k, part] = scanner.matches(k, words(part), min_saving, max_difference)
+                seen[k, part] = scanner.matches(k, words(part), scanner.min_saving, scanner.max_difference)
             found += [{**f, "at": [lo + i for i in f["at"]], "start": starts[lo + f["at"][0]], "end": ends[lo + f["at"][-1]]} for f in seen[k, part]]
     found.sort(key=lambda f: (f["edits"] - len(f["at"]), -f["saving"], -len(scanner.templates[f["template"]][1]), f["license"], f["start"]))
     return sorted(chosen(found), key=lambda f: (f["start"], f["end"]))
@@ -205,23 +250,22 @@ FIELDS = ("license", "start", "end", "saving", "missing", "added", "differences"
 HITS = "array<struct<license:string,start:int,end:int,saving:double,missing:int,added:int,differences:array<string>>>"
 
 
-def scan(docs: DataFrame, *, templates: dict[str, list[str]] | None = None, hints: tuple[str, ...] = HINTS, min_saving: float = 0.25, max_difference: float = 0.15, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
+def scan(docs: DataFrame, *, templates: dict[str, list[str]] | None = None, min_saving: float = 0.25, max_difference: float = 0.15, text_col: str = "text", keep: list[str] | None = None) -> DataFrame:
     """docs (or its columns `keep`) plus `licenses`: for each confirmed notice the license, its byte offsets, the saving and
     the exact wording differences."""
     docs = docs.drop("licenses")
     kept = keep or docs.columns
     texts = templates or TEMPLATES
-    hint = hints_in(hints)
     held: dict[str, Scanner] = {}
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         if not held:
-            held["scanner"] = Scanner(texts)
+            held["scanner"] = Scanner(texts, min_saving, max_difference)
         scanner = held["scanner"]
         seen: dict[tuple[int, bytes], list[dict]] = {}
         column = []
         for text in batch.column(text_col).cast(pa.binary()).to_pylist():
-            found = notices(text, scanner, hint, min_saving, max_difference, seen) if text else []
+            found = notices(text, scanner, seen) if text else []
             column.append([{c: f[c] for c in FIELDS} for f in found])
         kind = pa.list_(pa.struct([("license", pa.string()), ("start", pa.int32()), ("end", pa.int32()), ("saving", pa.float64()), ("missing", pa.int32()), ("added", pa.int32()), ("differences", pa.list_(pa.string()))]))
         return pa.RecordBatch.from_arrays([*(batch.column(c) for c in kept), pa.array(column, kind)], names=[*kept, "licenses"])

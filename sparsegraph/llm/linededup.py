@@ -88,8 +88,17 @@ def bitmap():
 def kept_text():
     """The lines that stay, joined by line feeds; the text itself where none goes (null: empty)."""
     text, runs = F.col("doc.text"), F.col("dropped.runs")
-    kept = F.filter(split_lines(text), lambda x, i: ~F.exists(runs, lambda r: (i >= r["start"]) & (i < r["start"] + r["length"])))
-    return F.when(F.col("dropped").isNull(), F.coalesce(text, F.lit(""))).otherwise(F.array_join(kept, "\n"))
+    end = lambda r: r["start"] + r["length"]
+
+    def joined_gaps(lines):
+        """The stretches before each run and after the last one: each line is copied once, however many runs there are."""
+        before = F.transform(runs, lambda r, i: F.struct(F.when(i > 0, end(F.get(runs, i - 1))).otherwise(0).alias("from"), r["start"].alias("to")))
+        after = F.struct(end(F.element_at(runs, -1)).alias("from"), F.size(lines).alias("to"))
+        return F.array_join(F.flatten(F.transform(F.concat(before, F.array(after)), lambda g: F.slice(lines, g["from"] + 1, g["to"] - g["from"]))), "\n")
+
+    # The one-element array has the text split once, not once for each run.
+    kept = F.get(F.transform(F.array(split_lines(text)), joined_gaps), 0)
+    return F.when(F.col("dropped").isNull(), F.coalesce(text, F.lit(""))).otherwise(kept)
 
 
 def dedup_lines(docs: DataFrame, *, min_chars: int = 20, min_docs: int = 3) -> DataFrame:

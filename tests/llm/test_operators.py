@@ -529,6 +529,17 @@ def test_lines_odd_rows_and_bitmaps(spark):
     assert linededup.dedup_lines(empty(spark)).count() == 0
 
 
+def test_kept_text_of_all_run_patterns(spark):
+    """Runs at the beginning, the end, everywhere and nowhere, against the brute force."""
+    line = [f"repeated line number {i} of every text" for i in range(3)]
+    rows = [(9, "\n".join(line)), (8, "\n".join(line))]
+    rows += [(i, "\n".join(line[j] if i >> j & 1 else f"own {i} {j}" for j in range(3)) + ("\n" if i % 2 else "")) for i in range(8)]
+    got = {(r["doc_id"], r["text"]) for r in linededup.dedup_lines(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    key = lambda t: hashlib.sha256(t.encode()).hexdigest()
+    assert sorted((i, key(t)) for i, t in got) == sorted((r[0], r[3]) for r in brute_lines(rows))
+    assert (8, "") in got
+
+
 def test_lines_plan_is_native(spark, docs):
     plan = linededup.dedup_lines(docs)._jdf.queryExecution().toString()
     assert "Python" not in plan and "Arrow" not in plan
@@ -615,6 +626,45 @@ def test_licenses_with_most_edits_are_candidates():
             assert [f["license"] for f in found] == [name]
 
 
+def test_licenses_need_no_hint_words():
+    """Every notice with up to the allowed edits, wherever they fall, opens a window: in any text, also across the places
+    where long texts are cut, and for templates without a word of license language."""
+    rng = random.Random(9)
+    filler = lambda n: [bytes(rng.choices(b"abcdefghijklmnop", k=rng.randint(2, 9))) for _ in range(n)]
+    plain = {"plain": [b" ".join(filler(n)).decode() for n in (1, 2, 7, 13, 20, 41)]}
+    scanner = licenses.Scanner(licenses.TEMPLATES | plain)
+    for k, (name, want, *_) in enumerate(scanner.templates):
+        for _ in range(25):
+            own = list(want)
+            for _ in range(scanner.most(k)):
+                i = rng.randrange(len(own))
+                match rng.randrange(3):
+                    case 0:
+                        own[i] = filler(1)[0]
+                    case 1 if len(own) > 1:
+                        del own[i]
+                    case _:
+                        own.insert(i, filler(1)[0])
+            text = b"\n# ".join([*filler(60), *own, *filler(60)])
+            hits = scanner.anchors(text)[k]
+            reach = len(want) + scanner.most(k)
+            assert any(h - reach <= 60 and 60 + len(own) <= h + reach + 1 for h in hits), (name, own)
+
+
+def test_license_anchors_in_blocks(monkeypatch):
+    scanner = licenses.Scanner(licenses.TEMPLATES)
+    text = ("some words, e.g. v1.2-x .-. " * 40 + " ".join(t for ts in licenses.TEMPLATES.values() for t in ts) + " and more") * 3
+    low = text.lower().encode()
+    whole = scanner.anchors(low)
+    assert len(whole) == len(scanner.templates)
+    assert all(licenses.words(low)[h : h + 1] for hits in whole.values() for h in hits)
+    for block in (1, 37, 500):
+        monkeypatch.setattr(licenses, "BLOCK", block)
+        assert scanner.anchors(low) == whole
+    assert scanner.anchors(b"") == scanner.anchors(b" -. \xc3\xa9") == {}
+    assert licenses.Scanner({}).anchors(low) == {}
+
+
 def test_licenses_query_finds_every_notice(spark):
     d = "/root/testdata/sf0.001"
     want = {r["doc_id"] for r in spark.read.parquet(f"{d}/documents.parquet").where("text rlike 'Released under the MIT|Licensed under the Apache|licensed under the GNU General|under CC BY-NC'").collect()}
