@@ -322,6 +322,14 @@ def test_traversal(spark, toy, adj):
     assert values(traversal.bfs_sql(spark, "adj_t", 1, 4), "level", "id") == {1: 0, 2: 1, 3: 1, 4: 1, 5: 2}
 
 
+def test_dense_ratio_has_no_limit_of_vertices(spark):
+    """A path of 6,000 vertices: each pair two steps apart shares one neighbour."""
+    path = spark.range(5_999).select(F.col("id").alias("src"), (F.col("id") + 1).alias("dst"))
+    got = similarity.jaccard(path, "dense").collect()
+    assert {(r["i"], r["j"]) for r in got} == {(v, v + 2) for v in range(5_998)} and {r["common"] for r in got} == {1}
+    assert {r["i"]: r["score"] for r in got} == {v: 1 / 2 if v in (0, 5_997) else 1 / 3 for v in range(5_998)}
+
+
 def test_hub(spark):
     star = truss.with_ids(spark.range(1, 10_001).select(F.lit(0).cast("bigint").alias("src"), F.col("id").alias("dst")))
     assert truss.triangles(star).count() == 0
