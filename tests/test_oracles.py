@@ -64,3 +64,17 @@ def test_whole_tables_equal_sql(spark, duck, name):
 def test_whole_tables_are_no_block(spark):
     assert Q.QUERIES["jaccard_sets_all"](spark, "/root/testdata/sf0.01").agg({"j": "max"}).first()[0] >= 60
     assert len(Q.QUERIES["trade_block_all"](spark, D).columns) == 26
+
+
+@pytest.mark.parametrize("name", ["bfs_sql"])
+def test_worked_queries_read_every_line(spark, duck, name):
+    from sparsegraph.operators.metrics import KernelStats
+
+    with KernelStats(spark) as stats:
+        if name in Q.ORACLES:
+            test_query_equals_sql(spark, duck, name)
+        else:
+            nations = duck.execute(f"WITH {Q.TRADE_GRAPH} SELECT src FROM cop UNION SELECT dst FROM cop").fetchall()
+            got = Q.QUERIES[name](spark, D).collect()
+            assert {(r["u"],) for r in got} == set(nations) and {(r["v"] - 100,) for r in got} == set(nations) and len(got) == len(nations)
+    assert stats.input_rows >= duck.execute("SELECT count(*) FROM lineitem").fetchone()[0]
