@@ -66,7 +66,7 @@ def test_whole_tables_are_no_block(spark):
     assert len(Q.QUERIES["trade_block_all"](spark, D).columns) == 26
 
 
-@pytest.mark.parametrize("name", ["bfs_sql", "toy_jaccard", "toy_ktruss_sequential", "toy_matching"])
+@pytest.mark.parametrize("name", ["bfs_sql", "toy_jaccard", "toy_ktruss_sequential", "toy_matching", "toy_support"])
 def test_worked_queries_read_every_line(spark, duck, name):
     from sparsegraph.operators.metrics import KernelStats
 
