@@ -8,9 +8,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sparsegraph.plans.state import materialise
+from sparsegraph.plans.state import materialise, remove
 
-from .nmf import gram_factor, names, project, start_value
+from .nmf import fits, gram_factor, names, project, start_value
 
 
 def rotate(f: DataFrame, m: np.ndarray) -> DataFrame:
@@ -33,10 +33,7 @@ def svd(a: DataFrame, k: int, *, iters: int = 8, extra: int = 4, seed: int = 1,
     rank gives fewer than k with lanczos."""
     a = materialise(a.select("row", "col", F.col("val").cast("double").alias("val")), "matrix")
     if method == "lanczos":
-        values, v = lanczos(lambda x: project(a, project(a, x, 1, "col"), 1, "row"), a.select(F.col("col").alias("id")).distinct(), k, steps=k + 2 * extra + iters, seed=seed)
-        s = np.sqrt(np.maximum(values, 0))
-        b = project(a, v, len(s), "col")
-        return rotate(b, np.diag(1 / np.maximum(s, 1e-300))), s, v
+        return _svd_lanczos(a, k, k + 2 * extra + iters, seed)
     if method != "subspace":
         raise ValueError(method)
     p = k + extra
@@ -53,30 +50,67 @@ def svd(a: DataFrame, k: int, *, iters: int = 8, extra: int = 4, seed: int = 1,
     return rotate(b, rot[:, order] / np.maximum(s, 1e-300)), s, rotate(v, rot[:, order])
 
 
-def lanczos(product: Callable[[DataFrame], DataFrame], ids: DataFrame, k: int, *, steps: int, seed: int = 1) -> tuple[np.ndarray, DataFrame]:
-    """(the k largest eigenvalues, vectors (id, w0..)) of a symmetric operator on rows (id, w0). The basis is one table
-    with a column for each step; a new vector is made orthogonal to all of it twice. Ends early where nothing new is left."""
+def _svd_lanczos(a: DataFrame, k: int, steps: int, seed: int) -> tuple[DataFrame, np.ndarray, DataFrame]:
+    """Every step reads the matrix twice, so it is written twice: by row and by column, with numbers for keys. A vector that
+    can be broadcast meets the copy sorted by the key of the result, whose sums combine before the shuffle; the matrix
+    stays where it is. For a longer vector the matrix is shuffled."""
+    keys, n = {}, {}
+    for side in ("row", "col"):
+        ids = a.select(F.col(side).alias("id")).distinct()
+        code = F.col("id") if dict(ids.dtypes)["id"] in ("int", "bigint") else F.monotonically_increasing_id()
+        keys[side] = materialise(ids.withColumn("code", code), "keys")
+        n[side] = keys[side].count()
+    coded = a
+    for side in ("row", "col"):
+        if a.schema[side].dataType != keys[side].schema["code"].dataType:
+            coded = coded.join(keys[side].select(F.col("id").alias(side), F.col("code").alias(f"_{side}")), side).drop(side).withColumnRenamed(f"_{side}", side)
+    coded = coded.select("row", "col", "val")
+    sorted_by = {s: materialise(coded.repartition(s).sortWithinPartitions(s), f"by-{s}") for s in ("row", "col")}
+
+    def onto(x: DataFrame, width: int, by: str) -> DataFrame:
+        if fits(n[by], width, "bigint"):
+            return project(sorted_by["col" if by == "row" else "row"], F.broadcast(x), width, by)
+        return project(sorted_by[by], x, width, by)
+
+    # The start follows from the keys themselves, not from their codes.
     h = F.pmod(F.xxhash64("id"), F.lit(1 << 31))
-    basis = materialise(ids.select("id", (start_value(h, 0, seed) - 0.5).alias("w0")), "basis")
-    size = float(basis.agg(F.sqrt(F.sum(F.col("w0") * F.col("w0")))).first()[0] or 0.0)
+    start = keys["col"].select(F.col("code").alias("id"), (start_value(h, 0, seed) - 0.5).alias("w0"))
+    values, v = lanczos(lambda x: onto(onto(x, 1, "col"), 1, "row"), start, k, steps=steps)
+    s = np.sqrt(np.maximum(values, 0))
+    u = rotate(onto(v, len(s), "col"), np.diag(1 / np.maximum(s, 1e-300)))
+    named = lambda f, side: f.withColumnRenamed("id", "code").join(keys[side], "code").select("id", *names(len(s)))
+    return named(u, "row"), s, named(v, "col")
+
+
+def lanczos(product: Callable[[DataFrame], DataFrame], start: DataFrame, k: int, *, steps: int) -> tuple[np.ndarray, DataFrame]:
+    """(the k largest eigenvalues, vectors (id, w0..)) of a symmetric operator on rows (id, w0), from a start vector. The basis
+    is one table with a column for each step; a new vector is made orthogonal to all of it twice. Ends early where nothing
+    new is left."""
+    first = start.select("id", "w0")
+    size = float(first.agg(F.sqrt(F.sum(F.col("w0") * F.col("w0")))).first()[0] or 0.0)
     if not size:
-        return np.zeros(0), basis.select("id")
-    basis = materialise(basis.select("id", (F.col("w0") / F.lit(size)).alias("w0")), "basis")
+        return np.zeros(0), first.select("id")
+    basis = first.select("id", (F.col("w0") / F.lit(size)).alias("w0"))
     t = np.zeros((steps, steps))
-    used = steps
+    used, last = steps, None
     for j in range(steps):
         image = product(basis.select("id", F.col(f"w{j}").alias("w0"))).select("id", F.col("w0").alias("x"))
+        # The basis with its newest vector, beside the image of that: written once a step.
         both = materialise(basis.join(image, "id", "left").withColumn("x", F.coalesce("x", F.lit(0.0))), "image")
+        if last is not None:
+            remove(last)
+        last, basis = both, both.drop("x")
         for _ in range(2):
-            r = both.agg(*[F.sum(F.col("x") * F.col(n)).alias(n) for n in names(j + 1)]).first()
+            r = both.agg(F.sum(F.col("x") * F.col("x")).alias("square"), *[F.sum(F.col("x") * F.col(n)).alias(n) for n in names(j + 1)]).first()
             t[j, j] += r[f"w{j}"]
             both = both.withColumn("x", F.col("x") - sum(F.lit(float(r[n])) * F.col(n) for n in names(j + 1)))
-        size = float(both.agg(F.sqrt(F.sum(F.col("x") * F.col("x")))).first()[0])
+        # What the second pass took off is of the size of rounding errors.
+        size = max(r["square"] - sum(r[n] ** 2 for n in names(j + 1)), 0.0) ** 0.5
         if j + 1 == steps or size <= 1e-12 * max(abs(t[j, j]), t[0, 0], 1e-300):
             used = j + 1
             break
         t[j, j + 1] = t[j + 1, j] = size
-        basis = materialise(both.select("id", *names(j + 1), (F.col("x") / F.lit(size)).alias(f"w{j + 1}")), "basis")
+        basis = both.select("id", *names(j + 1), (F.col("x") / F.lit(size)).alias(f"w{j + 1}"))
     values, rot = np.linalg.eigh(t[:used, :used])
     order = np.argsort(values)[::-1][:k]
     return values[order], rotate(basis, rot[:, order])

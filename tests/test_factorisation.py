@@ -196,6 +196,27 @@ def test_lanczos_agrees_with_numpy(spark, small):
         spectral.svd(t, 2, method="other")
 
 
+def test_lanczos_leaves_the_matrix_in_place(spark, monkeypatch):
+    """Text keys, vectors broadcast or not: the same values, and only a matrix that no vector fits beside is shuffled."""
+    from sparsegraph.operators import metrics
+
+    rng = np.random.default_rng(6)
+    a = rng.random((400, 60)) * (rng.random((400, 60)) < 0.5)
+    t = spark.createDataFrame([(int(i), f"c{j}", float(a[i, j])) for i, j in zip(*np.nonzero(a))], "row bigint, col string, val double")
+    moved = {}
+    threshold = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    for limit in (1 << 20, 0):
+        monkeypatch.setattr(nmf, "BROADCAST_BYTES", limit)
+        with metrics.KernelStats(spark) as stats:
+            _, s, v = spectral.svd(t, 1, method="lanczos", extra=1, iters=3)
+        assert s[0] == pytest.approx(np.linalg.norm(a, 2), rel=1e-6)
+        moved[limit] = stats.shuffle_written
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", threshold)
+    assert {r["id"] for r in v.select("id").collect()} == {f"c{j}" for j in range(60)}
+    assert moved[1 << 20] < 0.7 * moved[0]
+
+
 def test_kernel_stats(spark, small):
     from sparsegraph.operators import metrics
     from sparsegraph.operators.kernels import gram
